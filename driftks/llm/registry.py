@@ -6,17 +6,20 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from driftks.llm import bpe, sharding, simhash
+from driftks.llm import bpe, line_dedup, secret_scan, sharding, simhash, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = [
+        secret_scan.op1_secret_scan,
         sharding.op2_feistel_shards,
+        warc.op5_warc_revisits,
         simhash.op7_simhash_components,
+        line_dedup.op8_line_dedup,
         bpe.op9_bpe_round_trip,
     ]
     return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op5_warc_revisits": warc.OP5_SQL, "op8_line_dedup": line_dedup.OP8_SQL}
