@@ -50,6 +50,13 @@ def features(word: str) -> tuple[int, list[int]]:
     return 1 + zlib.crc32(word.encode()) % (WORD_BUCKETS - 1), [1 + zlib.crc32(g.encode()) % (CHAR_BUCKETS - 1) for g in grams]
 
 
+def bucket_lists(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Word buckets, the n-gram buckets of all words in a row, and their number for each word."""
+    feats = [features(w) for w in words]
+    lens = np.array([len(f[1]) for f in feats], np.int64)
+    return np.array([f[0] for f in feats], np.int64), np.fromiter((g for f in feats for g in f[1]), np.int64, int(lens.sum())), lens
+
+
 def window_starts(n: int) -> np.ndarray:
     """Starts of the windows over ``n`` words: every ``STRIDE`` words, the last ending with the text."""
     last = max(0, n - WINDOW)
@@ -67,6 +74,11 @@ def _sigmoid(x: np.ndarray) -> np.ndarray:
     return 0.5 * (np.tanh(0.5 * x) + 1)
 
 
+def _added_up(index: np.ndarray, rows: np.ndarray, size: int) -> np.ndarray:
+    """``rows`` summed by ``index`` into ``size`` rows."""
+    return np.stack([np.bincount(index, c, size) for c in rows.T], 1).astype(np.float32)
+
+
 def _looked_at(latest: np.ndarray, r: np.random.Generator, top: int = 4, more: int = 5) -> np.ndarray:
     """The windows of a text that a training step scores: the worst when last scored, and some by chance."""
     if len(latest) <= top + more:
@@ -90,15 +102,15 @@ class Network:
         self.w["word"][0] = self.w["char"][0] = 0
         self.constant: float | None = None
 
-    def inputs(self, words: list[str]) -> tuple[np.ndarray, tuple]:
-        """The input vectors of distinct words, and which rows of the embeddings they come from."""
-        feats = [features(w) for w in words]
-        rows = np.array([f[0] for f in feats], np.int64)
-        lens = np.array([len(f[1]) for f in feats], np.int64)
-        flat = np.fromiter((g for f in feats for g in f[1]), np.int64, int(lens.sum()))
-        owner = np.repeat(np.arange(len(words)), lens)
+    def inputs(self, words: list[str]) -> np.ndarray:
+        """The input vectors of distinct words."""
+        return self.embedded(*bucket_lists(words))[0]
+
+    def embedded(self, rows: np.ndarray, flat: np.ndarray, lens: np.ndarray) -> tuple[np.ndarray, tuple]:
+        """The input vectors of words given by their buckets, and which rows of the embeddings they come from."""
+        owner = np.repeat(np.arange(len(rows)), lens)
         scale = (1 / np.sqrt(np.maximum(lens, 1))).astype(np.float32)
-        chars = np.zeros((len(words), CHAR_DIM), np.float32)
+        chars = np.zeros((len(rows), CHAR_DIM), np.float32)
         if len(flat):
             starts = np.cumsum(lens) - lens
             chars[lens > 0] = np.add.reduceat(self.w["char"][flat], starts[lens > 0], axis=0)
@@ -150,7 +162,7 @@ class Network:
         d_x = np.zeros_like(x)
         for d in (0, 1):
             rec, into = w[f"rec{d}"], w[f"in{d}"]
-            g_rec, d_p = np.zeros_like(rec), np.zeros((len(x), 3 * h), np.float32)
+            g_rec, into_all = np.zeros_like(rec), np.empty((ids.shape[1], len(ids), 3 * h), np.float32)
             later = np.zeros((ids.shape[0], h), np.float32)
             order = range(ids.shape[1]) if d == 0 else range(ids.shape[1] - 1, -1, -1)
             for t in reversed(order):
@@ -159,17 +171,18 @@ class Network:
                 d_c = now * z * (1 - c**2)
                 d_z = now * (c - state) * z * (1 - z)
                 d_r = d_c * y * r * (1 - r)
-                into_x = np.hstack([d_z, d_r, d_c])
-                into_y = np.hstack([d_z, d_r, d_c * r])
-                np.add.at(d_p, ids[:, t], into_x)
+                into_x = into_all[t]
+                into_x[:, :h], into_x[:, h : 2 * h], into_x[:, 2 * h :] = d_z, d_r, d_c
+                into_y = into_x.copy()
+                into_y[:, 2 * h :] *= r
                 g_rec += state.T @ into_y
                 later = now * (1 - z) + into_y @ rec.T
+            d_p = _added_up(ids.T.ravel(), into_all.reshape(-1, 3 * h), len(x))
             g[f"rec{d}"], g[f"in{d}"], g[f"bias{d}"] = g_rec, x.T @ d_p, d_p.sum(0)
             d_x += d_p @ into.T
         rows, flat, owner, scale = source
-        g["word"], g["char"] = np.zeros_like(w["word"]), np.zeros_like(w["char"])
-        np.add.at(g["word"], rows, d_x[:, :WORD_DIM])
-        np.add.at(g["char"], flat, (d_x[:, WORD_DIM:] * scale[:, None])[owner])
+        g["word"] = _added_up(rows, d_x[:, :WORD_DIM], WORD_BUCKETS)
+        g["char"] = _added_up(flat, (d_x[:, WORD_DIM:] * scale[:, None])[owner], CHAR_BUCKETS)
         g["word"][0] = g["char"][0] = 0
         return g
 
@@ -182,7 +195,8 @@ class Network:
         r = np.random.default_rng(seed)
         number: dict[str, int] = {"": 0}
         docs = [windows(np.array([number.setdefault(w, len(number)) for w in word_pattern.findall(t.lower())], np.int64)) for t in texts]
-        names = list(number)
+        word_row, gram_row, gram_count = bucket_lists(list(number))
+        gram_start = np.cumsum(gram_count) - gram_count
         mean = {k: np.zeros_like(v) for k, v in self.w.items()}
         square = {k: np.zeros_like(v) for k, v in self.w.items()}
         latest = [r.normal(size=len(d)) for d in docs]
@@ -198,7 +212,9 @@ class Network:
                 owner = np.repeat(np.arange(len(some)), [len(k) for k in looked])
                 used, local = np.unique(ids, return_inverse=True)
                 local = local.reshape(ids.shape)
-                x, source = self.inputs([names[i] for i in used])
+                lens = gram_count[used]
+                flat = gram_row[np.repeat(gram_start[used] - np.cumsum(lens) + lens, lens) + np.arange(lens.sum())]
+                x, source = self.embedded(word_row[used], flat, lens)
                 pad = used == 0
                 x[pad] = 0
                 logit = self.logits(self.projected(x), local)
@@ -244,7 +260,7 @@ class Scorer:
                         new.append(w)
                 out.append(np.fromiter(map(number.__getitem__, words), np.int32, len(words)))
         if new:
-            self.rows = np.vstack([self.rows, self.net.projected(self.net.inputs(new)[0])])
+            self.rows = np.vstack([self.rows, self.net.projected(self.net.inputs(new))])
         return out
 
     def scores(self, texts: list[str], block: int = 4096) -> np.ndarray:
