@@ -35,6 +35,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from driftks.llm.tables import table, whole_text
+from driftks.plans.shipping import held, share
 
 WORD_END = "</w>"
 #: Words whose arcs one task remembers before it starts anew.
@@ -236,12 +237,12 @@ def encode(df: DataFrame, text: str = "text", key: str = "doc_id", path: str | N
 
     The compiled automaton is broadcast: it is bounded by the vocabulary, not by the data.
     """
-    shared = df.sparkSession.sparkContext.broadcast(load(path or default_path()))
+    shared = share(df.sparkSession, load(path or default_path()))
     kind = df.schema[key].dataType
     fields = [pa.field("ids", pa.binary()), pa.field("n_tokens", pa.int64())] + [pa.field("decoded", pa.string())] * decode
 
     def run(batches):
-        encoder = shared.value.ready()
+        encoder = held(shared).ready()
         for batch in batches:
             for part in range(0, batch.num_rows, 1000):
                 rows = batch.slice(part, 1000)
@@ -257,11 +258,11 @@ def encode(df: DataFrame, text: str = "text", key: str = "doc_id", path: str | N
 
 def decode(df: DataFrame, key: str = "doc_id", ids: str = "ids", path: str | None = None) -> DataFrame:
     """``key`` and ``decoded``, the text that the ids spell (null ids: the empty text)."""
-    shared = df.sparkSession.sparkContext.broadcast(load(path or default_path()))
+    shared = share(df.sparkSession, load(path or default_path()))
     kind = df.schema[key].dataType
 
     def run(batches):
-        encoder = shared.value
+        encoder = held(shared)
         for batch in batches:
             texts = [encoder.decode(b or b"") for b in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string())], names=[key, "decoded"])

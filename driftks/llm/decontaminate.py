@@ -31,6 +31,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from driftks.llm.tables import table, whole_text
+from driftks.plans.shipping import held, share
 
 SEED_WORDS = 3
 RARE = 1e-7
@@ -249,10 +250,10 @@ def item_blocks(items: DataFrame, key: str, text: str, block_words: int = BLOCK_
 
 def word_rates(docs: DataFrame, texts: list[str], text: str = "text") -> dict[int, float]:
     """The share, among all words of ``docs``, of each word of the test items ``texts``."""
-    wanted = docs.sparkSession.sparkContext.broadcast(Lookup(words_of([t.lower().encode() for t in texts]).hash))
+    wanted = share(docs.sparkSession, Lookup(words_of([t.lower().encode() for t in texts]).hash))
 
     def run(batches):
-        lookup = wanted.value
+        lookup = held(wanted)
         seen, total = np.zeros(len(lookup.keys), np.int64), 0
         for batch in batches:
             texts, at = batch.column(0).to_pylist(), 0
@@ -285,10 +286,10 @@ def passages(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str =
     schema = f"`{key}` {kind.simpleString()}, `{item_key}` {item_kind.simpleString()}, score double, start int, end int"
     out = docs.sparkSession.createDataFrame([], schema)
     for matcher in matchers(docs, items, item_key, item_text, text, block_words):
-        shared = docs.sparkSession.sparkContext.broadcast(matcher)
+        shared = share(docs.sparkSession, matcher)
 
         def run(batches, shared=shared):
-            m = shared.value
+            m = held(shared)
             for batch in batches:
                 found = m.match(batch.column(1).to_pylist())
                 keys, ids = batch.column(0), pa.array(m.ids)
@@ -304,7 +305,7 @@ def _best(shared):
     @F.pandas_udf("double")
     def best(text: pd.Series) -> pd.Series:
         out = np.zeros(len(text))
-        for t, _, score, _, _ in shared.value.match(text.tolist()):
+        for t, _, score, _, _ in held(shared).match(text.tolist()):
             out[t] = max(out[t], score)
         return pd.Series(out)
 
@@ -313,7 +314,7 @@ def _best(shared):
 
 def leak_score(docs: DataFrame, items: DataFrame, name: str, text: str = "text", item_key: str = "item_id", item_text: str = "text", block_words: int = BLOCK_WORDS) -> DataFrame:
     """``docs`` with a column ``name``: the best score of a passage of the row (0 without one). Nothing is shuffled."""
-    columns = [_best(docs.sparkSession.sparkContext.broadcast(m))(whole_text(text)) for m in matchers(docs, items, item_key, item_text, text, block_words)]
+    columns = [_best(share(docs.sparkSession, m))(whole_text(text)) for m in matchers(docs, items, item_key, item_text, text, block_words)]
     return docs.withColumn(name, columns[0] if len(columns) == 1 else F.greatest(*columns))
 
 

@@ -30,6 +30,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from driftks.llm.tables import table, whole_text
+from driftks.plans.shipping import held, share
 
 BUCKETS = 1 << 17
 PER_LANG, LANGS = 700, 200
@@ -182,10 +183,11 @@ class Labeller:
         scores, letters = self.rows[flat], self.letters[flat]
         labels = paths(scores, lens)
         owner = np.repeat(np.arange(len(texts)), lens)
-        won = np.zeros((len(texts), len(langs)))
-        np.add.at(won, (owner, labels), letters)
-        total = np.zeros((len(texts), len(langs)))
-        np.add.at(total, owner, scores * (letters > 0)[:, None])
+        n = len(langs)
+        won = np.bincount(owner * n + labels, letters, len(texts) * n).reshape(len(texts), n)
+        total, some = np.zeros((len(texts), n)), lens > 0
+        if some.any():
+            total[some] = np.add.reduceat(scores * (letters > 0)[:, None], (np.cumsum(lens) - lens)[some], axis=0, dtype=float)
         pick = won.argmax(1)
         at = np.arange(len(texts))
         sure = 1 / np.exp(np.minimum(total - total[at, pick][:, None], 50)).sum(1)
@@ -227,16 +229,16 @@ def fit(docs: DataFrame, per_lang: int = PER_LANG, langs: int = LANGS, key: str
 
 def identify(df: DataFrame, model: Model, key: str = "doc_id", text: str = "text", spans: bool = False) -> DataFrame:
     """``key``, ``lang_pred``, ``score`` and, on request, ``spans`` of every row."""
-    shared = df.sparkSession.sparkContext.broadcast(Labeller(model))
+    shared = share(df.sparkSession, Labeller(model))
     kind = df.schema[key].dataType
 
     def run(batches):
-        labeller = shared.value
+        labeller = held(shared)
         for batch in batches:
             texts, at = batch.column(1).to_pylist(), 0
-            while at < len(texts):  # some 2 MB at a time, one text at least
+            while at < len(texts):  # some 6 MB at a time, one text at least
                 end, size = at, 0
-                while end < len(texts) and (end == at or size + len(texts[end]) < 2_000_000):
+                while end < len(texts) and (end == at or size + len(texts[end]) < 6_000_000):
                     size += len(texts[end])
                     end += 1
                 found = labeller.label(texts[at:end], spans)

@@ -4,15 +4,15 @@ The planes of the trees are fitted on a bounded sample of vectors (``fit_rows``)
 direction, cut at the sample's median, down to leaves of about ``leaf`` vectors. Every vector of
 the table is put into one leaf of each tree. A query walks all trees through one shared priority
 queue, ordered by how far it lies on the wrong side of the planes passed, and takes leaves until
-they hold ``reach`` times as many vectors as the table. Leaves and their queries meet by an
+they hold ``reach`` times as many vectors as the table (counting a vector in each tree; 4096 at least). Leaves and their queries meet by an
 equality join; each pair of blocks is scored in double precision, and the best of all leaves are
 kept per query.
 
 Leaves larger than ``block`` vectors (frequent or equal vectors) are dealt out over several groups by
 a hash of the id, and queries over groups of ``query_block``, so no group grows with the data; the
-query goes to all groups of a leaf, so nothing is left out. A lower bound of a query's last result
-is known from ``floor_rows`` rows of the sample, which take part as candidates like others; leaves
-report nothing below it.
+query goes to all groups of a leaf, so nothing is left out. The 2k-th best score among the sample's
+rows tells what the k best of the whole table exceed; leaves report nothing below it. Should a
+query find fewer than k rows above, it is searched again through all leaves.
 
 Without structure in the data (independent normal components), near vectors hide in many leaves; the
 default ``reach`` keeps a recall above 0.9 in 64 such dimensions and is more than structured data need.
@@ -34,9 +34,10 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from driftks.llm.tables import settled, table
+from driftks.plans.shipping import held, share
 
-TREES, LEAF, REACH = 4, 256, 0.9
-FIT_ROWS, FLOOR_ROWS = 20_000, 4096
+TREES, LEAF, REACH, AT_LEAST = 4, 256, 1.4, 4096
+FIT_ROWS = 20_000
 BLOCK, QUERY_BLOCK = 8192, 32_768
 
 
@@ -83,8 +84,8 @@ class Forest:
             out[:, t] = -1 - at
         return out
 
-    def visit(self, q: np.ndarray, held: np.ndarray, budget: float) -> list[int]:
-        """Leaves in the order of the shared queue until they hold ``budget`` vectors; ``held``: vectors of each leaf."""
+    def visit(self, q: np.ndarray, sizes: np.ndarray, budget: float) -> list[int]:
+        """Leaves in the order of the shared queue until they hold ``budget`` vectors; ``sizes``: vectors of each leaf."""
         margin = (self.normal @ q - self.cut).tolist()
         queue = [(0.0, root) for root in self.roots]
         heapq.heapify(queue)
@@ -96,7 +97,7 @@ class Forest:
                 near, far = (child[node, 1], child[node, 0]) if m >= 0 else (child[node, 0], child[node, 1])
                 heapq.heappush(queue, (wrong + m * m, int(far)))
                 node = int(near)
-            n = held[-1 - node]
+            n = sizes[-1 - node]
             if n:
                 out.append(-1 - node)
                 found += n
@@ -139,23 +140,22 @@ def _matrix(rows: pd.Series, dim: int) -> np.ndarray:
 
 def search(df: DataFrame, is_query: Column, key: str = "vec_id", vector: str = "embedding", k: int = 20, trees: int = TREES, leaf: int = LEAF, reach: float = REACH, fit_rows: int = FIT_ROWS, block: int = BLOCK, query_block: int = QUERY_BLOCK) -> DataFrame:
     """``query_id``, ``rank``, ``vec_id`` and ``score`` of the ``k`` nearest rows found for each row where ``is_query``."""
-    spark, sc = df.sparkSession, df.sparkSession.sparkContext
+    spark = df.sparkSession
     rows = usable(df, key, vector)
     sizes = rows.groupBy(F.size("v").alias("d")).agg(F.count("*").alias("n"), F.count_if(is_query).alias("q")).orderBy(F.desc("n"), "d").limit(1).collect()
     if not sizes:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     dim, n, n_queries = sizes[0]["d"], sizes[0]["n"], sizes[0]["q"]
     rows = rows.where(F.size("v") == dim)
-    share = min(1.0, fit_rows / n)
-    drawn = rows.where(F.pmod(F.xxhash64("vec_id", F.lit(10)), F.lit(1 << 30)) < int(share * (1 << 30))) if share < 1 else rows
+    portion = min(1.0, fit_rows / n)
+    drawn = rows.where(F.pmod(F.xxhash64("vec_id", F.lit(10)), F.lit(1 << 30)) < int(portion * (1 << 30))) if portion < 1 else rows
     sample = drawn.limit(2 * fit_rows).toPandas().sort_values("vec_id", kind="stable")
     points = _matrix(sample["v"], dim)
-    forest = sc.broadcast(Forest(points, n, trees, leaf))
-    floor_x, floor_id = points[:FLOOR_ROWS].copy(), sample["vec_id"].to_numpy()[:FLOOR_ROWS]
-    floor = sc.broadcast((floor_x, floor_id))
+    forest = share(spark, Forest(points, n, trees, leaf))
+    floor = share(spark, (points, sample["vec_id"].to_numpy()))
 
     def put(batches):
-        f = forest.value
+        f = held(forest)
         for batch in batches:
             place = f.place(_matrix(batch["v"], dim))
             for t in range(place.shape[1]):
@@ -163,30 +163,34 @@ def search(df: DataFrame, is_query: Column, key: str = "vec_id", vector: str = "
 
     placed = settled(rows.mapInPandas(put, "leaf long, vec_id long, v array<double>"))
     counts = placed.groupBy("leaf").count().collect()  # as many rows as the forest has leaves
-    held = np.zeros(max(1, forest.value.leaves), np.int64)
+    sizes_of = np.zeros(max(1, held(forest).leaves), np.int64)
     for r in counts:
-        held[r[0]] = r[1]
-    deal = sc.broadcast((held, np.maximum(1, -(-held // block))))
+        sizes_of[r[0]] = r[1]
+    deal = share(spark, (sizes_of, np.maximum(1, -(-sizes_of // block))))
     parts = max(1, -(-n_queries // query_block))
 
-    def walk(batches):
-        f, (held, groups), (fx, fid) = forest.value, deal.value, floor.value
-        for batch in batches:
-            for at in range(0, len(batch), 256):
-                some = batch.iloc[at : at + 256]
-                q, own = _matrix(some["v"], dim), some["vec_id"].to_numpy()
-                rough = q @ fx.T
-                rough[own[:, None] == fid] = -np.inf
-                low = np.partition(rough, -k, axis=1)[:, -k] if rough.shape[1] > k else np.full(len(q), -np.inf)
-                out = []
-                for i, (name, x) in enumerate(zip(own, q, strict=True)):
-                    out += [(int(name), float(low[i]), int(v), g) for v in f.visit(x, held, reach * n) for g in range(groups[v])]
-                pairs = pd.DataFrame(out, columns=["query_id", "floor", "leaf", "part"])
-                yield pairs.merge(pd.DataFrame({"query_id": own, "q": some["v"].to_numpy()}).drop_duplicates("query_id"), on="query_id")
+    def walker(whole: bool):
+        def walk(batches):
+            f, (sizes_of, groups), (fx, fid) = held(forest), held(deal), held(floor)
+            for batch in batches:
+                for at in range(0, len(batch), 256):
+                    some = batch.iloc[at : at + 256]
+                    q, own = _matrix(some["v"], dim), some["vec_id"].to_numpy()
+                    low = np.full(len(q), -np.inf)
+                    if not whole and len(fx) > 2 * k:
+                        rough = q @ fx.T
+                        rough[own[:, None] == fid] = -np.inf
+                        low = np.partition(rough, -2 * k, axis=1)[:, -2 * k]
+                    out = []
+                    for i, (name, x) in enumerate(zip(own, q, strict=True)):
+                        out += [(int(name), float(low[i]), int(v), g) for v in f.visit(x, sizes_of, np.inf if whole else max(reach * n, AT_LEAST)) for g in range(groups[v])]
+                    pairs = pd.DataFrame(out, columns=["query_id", "floor", "leaf", "part"])
+                    yield pairs.merge(pd.DataFrame({"query_id": own, "q": some["v"].to_numpy()}).drop_duplicates("query_id"), on="query_id")
+
+        return walk
 
     queries = rows.where(is_query).dropDuplicates(["vec_id"])
-    asked = queries.mapInPandas(walk, "query_id long, floor double, leaf long, part long, q array<double>").withColumn("asker", F.pmod(F.xxhash64("query_id"), F.lit(parts)))
-    large = [(v, int(g)) for v, g in enumerate(deal.value[1]) if g > 1]
+    large = [(v, int(g)) for v, g in enumerate(held(deal)[1]) if g > 1]
     parted = placed.withColumn("groups", F.lit(1))
     if large:  # at most as many as the forest has leaves
         parted = placed.join(F.broadcast(spark.createDataFrame(large, "leaf long, g int")), "leaf", "left").withColumn("groups", F.coalesce("g", F.lit(1)))
@@ -200,19 +204,21 @@ def search(df: DataFrame, is_query: Column, key: str = "vec_id", vector: str = "
         found = best_of(_matrix(ask["q"], dim), ask["query_id"].to_numpy(), ask["floor"].to_numpy(), _matrix(member["v"], dim), member["vec_id"].to_numpy(), k)
         return pd.concat([none, *found])
 
-    def sampled(batches):
-        fx, fid = floor.value
-        for batch in batches:
-            yield from best_of(_matrix(batch["v"], dim), batch["vec_id"].to_numpy(), np.full(len(batch), -np.inf), fx, fid, k)
-
-    schema = "query_id long, vec_id long, score double"
     keys = ["leaf", "part", "asker"]
-    found = asked.groupBy(*keys).cogroup(members.groupBy(*keys)).applyInPandas(meet, schema)
-    if len(floor_id):
-        found = found.union(queries.mapInPandas(sampled, schema))
-    best = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return best.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+
+    def found(asking: DataFrame, whole: bool) -> DataFrame:
+        asked = asking.mapInPandas(walker(whole), "query_id long, floor double, leaf long, part long, q array<double>").withColumn("asker", F.pmod(F.xxhash64("query_id"), F.lit(parts)))
+        met = asked.groupBy(*keys).cogroup(members.groupBy(*keys)).applyInPandas(meet, "query_id long, vec_id long, score double")
+        best = met.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
+        rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+        return settled(best.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score"))
+
+    first = found(queries, False)
+    full = first.where(F.col("rank") == k).select(F.col("query_id").alias("vec_id"))
+    if first.where(F.col("rank") == k).count() == n_queries:
+        return first
+    again = queries.join(full, "vec_id", "left_anti").select("vec_id", "v")
+    return first.join(full.withColumnRenamed("vec_id", "query_id"), "query_id", "left_semi").unionByName(found(again, True))
 
 
 def op10_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -31,6 +31,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from driftks.llm.tables import table, whole_text
+from driftks.plans.shipping import held, share
 
 WINDOW, STRIDE = 32, 24
 WORD_BUCKETS, CHAR_BUCKETS = 1 << 13, 1 << 14
@@ -298,11 +299,11 @@ def score(df: DataFrame, net: Network, key: str = "doc_id", text: str = "text")
 
 def scorer(spark: SparkSession, net: Network):
     """A vectorised function from text to score."""
-    shared = spark.sparkContext.broadcast(Scorer(net))
+    shared = share(spark, Scorer(net))
 
     @F.pandas_udf("double")
     def toxic(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        model = shared.value
+        model = held(shared)
         for batch in batches:
             texts, out, at = batch.tolist(), [], 0
             while at < len(texts):  # some 2 MB at a time, one text at least
