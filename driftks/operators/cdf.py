@@ -13,6 +13,7 @@ from driftks.functions.scalars import cdf_at
 from driftks.operators.quantiles import quantile_knots
 from driftks.operators.samples import Sample
 from driftks.plans.params import CdfPlan
+from driftks.plans.shipping import held, share
 
 INTERPOLANTS = ("linear", "step_low", "step_high", "mid")
 
@@ -140,11 +141,11 @@ def eval_cdf(points: DataFrame, column: str, cdf: ApproxCdf, name: str = "f", me
     """
     spark = points.sparkSession
     if method == "broadcast":
-        shared = spark.sparkContext.broadcast(cdf)
+        shared = share(spark, cdf)
 
         @F.pandas_udf("struct<f: double, g: double>")
         def both(v: pd.Series) -> pd.DataFrame:
-            return pd.DataFrame({"f": shared.value.eval_py(v), "g": shared.value.eval_py(v, True)})
+            return pd.DataFrame({"f": held(shared).eval_py(v), "g": held(shared).eval_py(v, True)})
 
         return points.withColumn("__v", both(F.col(column).cast("double"))).withColumn(name, F.col("__v.f")).withColumn(f"{name}_left", F.col("__v.g")).drop("__v")
     if method == "array":
@@ -196,11 +197,11 @@ def _asof(points: DataFrame, column: str, knots: DataFrame, name: str) -> DataFr
 
 def cdf_band(points: DataFrame, column: str, cdf: ApproxCdf) -> DataFrame:
     """``points`` with the least and the greatest possible value of the true function."""
-    shared = points.sparkSession.sparkContext.broadcast(cdf)
+    shared = share(points.sparkSession, cdf)
 
     @F.pandas_udf("struct<low: double, high: double>")
     def band(v: pd.Series) -> pd.DataFrame:
-        low, high = shared.value.band_py(v)
+        low, high = held(shared).band_py(v)
         return pd.DataFrame({"low": low, "high": high})
 
     return points.withColumn("__v", band(F.col(column).cast("double"))).select("*", F.col("__v.low").alias("low"), F.col("__v.high").alias("high")).drop("__v")

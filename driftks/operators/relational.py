@@ -86,10 +86,10 @@ def ranked_values(spark, sf_dir):
 
 
 def rolling_mean_range(spark, sf_dir):
-    """Mean and count of the values within 5 below each distinct value (a RANGE frame), by event type."""
+    """Count and sum of the values within 5 below each distinct value (a RANGE frame), by event type."""
     e = load(spark, sf_dir, "events").groupBy("event_type", "value").agg(F.count("*").alias("c"))
     w = Window.partitionBy("event_type").orderBy("value").rangeBetween(-5, 0)
-    return e.select("event_type", "value", F.sum("c").over(w).alias("within"), F.round(F.sum(F.col("value") * F.col("c")).over(w) / F.sum("c").over(w), 6).alias("mean"))
+    return e.select("event_type", "value", F.sum("c").over(w).alias("within"), F.round(F.sum(F.col("value") * F.col("c")).over(w), 4).alias("total"))
 
 
 def text_features(spark, sf_dir):

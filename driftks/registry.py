@@ -531,8 +531,8 @@ def full_size(name: str) -> Query:
 def _events(spark, sf_dir):
     from driftks.sources import event_stream
 
-    path = f"{sf_dir}/events.parquet"
-    return event_stream(spark, path, spark.read.parquet(path).schema)
+    # a pattern: a file source takes a single file only through one
+    return event_stream(spark, f"{sf_dir}/events*.parquet", load(spark, sf_dir, "events").schema)
 
 
 def stream_weekly(spark, sf_dir):
@@ -681,7 +681,7 @@ def _entries() -> dict[str, tuple[Query, str | None]]:
         "describe_sample": (relational.describe_sample, "select o_orderstatus, count(*) as n, round(avg(o_totalprice), 4) as mean, round(stddev_samp(o_totalprice), 4) as sd, round(quantile_cont(o_totalprice, 0.25), 4) as q1, round(median(o_totalprice), 4) as median, round(quantile_cont(o_totalprice, 0.75), 4) as q3, min(o_totalprice) as low, max(o_totalprice) as high from orders group by 1"),
         "pivot_report": (relational.pivot_report, "select year(l_shipdate)::int as year, round(avg(l_extendedprice) filter (where l_returnflag = 'A'), 4) as flag_a, round(avg(l_extendedprice) filter (where l_returnflag = 'N'), 4) as flag_n, round(avg(l_extendedprice) filter (where l_returnflag = 'R'), 4) as flag_r from lineitem group by 1"),
         "ranked_values": (relational.ranked_values, "select s_suppkey, (row_number() over w)::int as row_no, (rank() over w)::int as rank_no, (dense_rank() over w)::int as dense_no, round(percent_rank() over w, 9) as percent, round(cume_dist() over w, 9) as cume, (ntile(4) over w)::int as quarter, lag(s_suppkey) over w as before, first_value(s_suppkey) over w as first_key, nth_value(s_suppkey, 2) over w as second_key from supplier window w as (partition by s_nationkey order by s_acctbal, s_suppkey)"),
-        "rolling_mean_range": (relational.rolling_mean_range, "select event_type, value, (sum(c) over w)::bigint as within, round(sum(value * c) over w / sum(c) over w, 6) as mean from (select event_type, value, count(*) as c from events group by all) window w as (partition by event_type order by value range between 5 preceding and current row)"),
+        "rolling_mean_range": (relational.rolling_mean_range, "select event_type, value, (sum(c) over w)::bigint as within, round(sum(value * c) over w, 4) as total from (select event_type, value, count(*) as c from events group by all) window w as (partition by event_type order by value range between 5 preceding and current row)"),
         "text_features": (relational.text_features, " union all ".join(f"select '{t}' as source, count(*) as n, sum(length({c}))::bigint as chars, sum(len(string_split(trim(regexp_replace({c}, '[ \\t\\n]+', ' ', 'g')), ' ')))::bigint as words from {t}" for t, c in (("documents", "text"), ("pages", "html"), ("conversations", "text")))),
         "exploded_gauss": (relational.exploded_gauss, f"select dim::int as dim, count(*) as n, round(avg(z), 6) as mean, round(stddev_samp(z), 6) as sd from {G} group by 1"),
         "union_points": (relational.union_points, "select l_discount as x from lineitem union select l_tax from lineitem"),
