@@ -166,7 +166,7 @@ def eval_cdf(points: DataFrame, column: str, cdf: ApproxCdf, name: str = "f", me
     elif method == "range_join":
         width = max((last - first) / max(1, cdf.size), 1e-300)
         # values outside the knots share the first and the last bucket
-        bucket = lambda c: F.greatest(F.lit(-1), F.least(F.lit(cdf.size + 1), F.floor((c - first) / width)))
+        bucket = lambda c: F.when(c.isNotNull(), F.greatest(F.lit(-1), F.least(F.lit(cdf.size + 1), F.floor((c - first) / width))))
         edges = F.sequence(F.coalesce(bucket(F.col("__x")), F.lit(-1)), F.coalesce(bucket(F.col("__nx")), F.lit(cdf.size + 1)))
         spread = segments.withColumn("__b", F.explode(edges))
         joined = points.withColumn("__b", bucket(v)).join(spread, "__b", "left").where(inside | F.col("__lo").isNull()).drop("__b")
