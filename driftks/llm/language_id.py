@@ -34,8 +34,8 @@ from driftks.plans.shipping import held, share
 
 BUCKETS = 1 << 17
 PER_LANG, LANGS = 700, 200
-#: What one word can say against a language at most, and what a change of language costs.
-MOST, PENALTY = 6.0, 5.0
+#: What one word can say against a language at most, and what a change of language costs: more, so one word makes no span.
+MOST, PENALTY = 6.0, 8.0
 MEMORY = 200_000
 UNKNOWN = "und"
 

@@ -6,7 +6,8 @@ layers read a window of 32 words from either side, attention pools their states,
 unit scores the window. Windows overlap by 8 words and cover the whole text; a text's score is
 that of its worst window. The network is trained in numpy (Adam, manual gradients) on labelled
 texts: of the windows that a step
-looks at, a text's two worst carry its label (it looks at those that were worst before and at some by chance).
+looks at (those that were worst before and some by chance), the worst carries the text's label, and in clean texts the second
+worst too.
 
 Training reads a bounded sample of the labelled rows, ``fit_rows`` (2,400 by default), half of them of
 each label where there are as many, picked by a hash of the id; labels, lang, source and ids are
@@ -224,7 +225,9 @@ class Network:
                 rank = np.lexsort((-logit, owner))
                 first = np.searchsorted(owner[rank], np.arange(len(some)))
                 second = np.minimum(first + 1, len(rank) - 1)
-                both = np.concatenate([rank[first], rank[second[owner[rank[second]] == np.arange(len(some))]]])
+                # a clean text is clean in its second worst window too; a toxic one may be toxic in one window only
+                too = (owner[rank[second]] == np.arange(len(some))) & (target[some] == 0)
+                both = np.concatenate([rank[first], rank[second[too]]])
                 g = self.gradients(x, source, local[both], target[some][owner[both]])
                 step += 1
                 speed = rate * (1 - 0.9 * step / total) * np.sqrt(1 - 0.999**step) / (1 - 0.9**step)
