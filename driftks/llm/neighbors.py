@@ -139,7 +139,8 @@ def _matrix(rows: pd.Series, dim: int) -> np.ndarray:
 
 
 def search(df: DataFrame, is_query: Column, key: str = "vec_id", vector: str = "embedding", k: int = 20, trees: int = TREES, leaf: int = LEAF, reach: float = REACH, fit_rows: int = FIT_ROWS, block: int = BLOCK, query_block: int = QUERY_BLOCK) -> DataFrame:
-    """``query_id``, ``rank``, ``vec_id`` and ``score`` of the ``k`` nearest rows found for each row where ``is_query``."""
+    """``query_id``, ``rank``, ``vec_id`` and ``score`` of the ``k`` nearest rows found for each row where ``is_query``
+    (a condition on ``vec_id``, which is what the key is called inside)."""
     spark = df.sparkSession
     rows = usable(df, key, vector)
     sizes = rows.groupBy(F.size("v").alias("d")).agg(F.count("*").alias("n"), F.count_if(is_query).alias("q")).orderBy(F.desc("n"), "d").limit(1).collect()
