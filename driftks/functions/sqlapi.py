@@ -86,6 +86,17 @@ def exact_distance_agg(value: pd.Series, is_x: pd.Series) -> float:
     return float(np.abs(np.searchsorted(x, points, "right") / len(x) - np.searchsorted(y, points, "right") / len(y)).max())
 
 
+def rank_sketch_agg(eps: float):
+    """A grouped aggregate that gives the rank-bound summary of a group that fits one task, as v, g, delta triples in one array."""
+    from driftks.sketch.rankbound import summarise
+
+    @F.pandas_udf(T.ArrayType(T.DoubleType()))
+    def sketch(value: pd.Series) -> list:
+        return summarise(value.dropna().to_numpy(float), eps)[["v", "g", "delta"]].to_numpy(float).ravel().tolist()
+
+    return sketch
+
+
 def exact_by_group(df: DataFrame, keys: list[str], value: str, is_x: Column) -> DataFrame:
     """``keys`` and ``d`` for many small groups."""
     return df.groupBy(*keys).agg(exact_distance_agg(F.col(value).cast("double"), is_x).alias("d"))

@@ -394,6 +394,34 @@ def drift_by_group(spark, sf_dir):
     return out.select("event_type", F.round("d", 9).alias("d"), "n", "m", F.round("p_value", 6).alias("p_value"))
 
 
+def product_features(spark, sf_dir):
+    """The monitor of a deployed model: several features of every event type, three weeks of reference against the fourth, one scan."""
+    e = load(spark, sf_dir, "events").where("ts < timestamp_ntz'2024-01-29'")
+    e = e.select("event_type", "ts", "value", F.get_json_object("props", "$.k").cast("double").alias("k"), F.hour("ts").cast("double").alias("hour"))
+    out = drift.drift_by_feature(e, ["value", "k", "hour"], F.col("ts") < F.lit("2024-01-22").cast("timestamp_ntz"), ["event_type"])
+    return out.select(F.concat_ws("/", "event_type", "feature").alias("name"), F.round("d", 9).alias("d"), "n", "m", F.round("p_value", 6).alias("p_value"))
+
+
+PRODUCTS_H = """e as (select event_type, value, json_extract_string(props, '$.k')::double as k, hour(ts)::double as hour, ts < timestamp '2024-01-22' as x from events where ts < timestamp '2024-01-29'),
+l as (select event_type || '/value' as k, value, x from e union all select event_type || '/k', k, x from e union all select event_type || '/hour', hour, x from e),
+h as (select k, value, count(*) filter (where x) as cx, count(*) filter (where not x) as cy from l where value is not null group by all)"""
+
+
+def cdf_band(spark, sf_dir):
+    """The stored reference at all event values, with the least and the greatest value it can have: is it always between them?"""
+    points = load(spark, sf_dir, "events").select("value").distinct()
+    band = cdf.cdf_band(cdf.eval_cdf(points, "value", relational.reference_cdf(), "f", "array"), "value", relational.reference_cdf())
+    return band.agg(F.count("*").alias("n"), F.bool_and((F.col("low") <= F.col("f") + 1e-12) & (F.col("f") <= F.col("high") + 1e-12)).alias("inside"))
+
+
+def group_sketches(spark, sf_dir):
+    """Rank-bound summaries of many groups in one aggregate: their ranks cover all rows, and they are small."""
+    o = load(spark, sf_dir, "orders")
+    out = o.groupBy("o_orderstatus").agg(sqlapi.rank_sketch_agg(0.01)(F.col("o_totalprice")).alias("s"))
+    covered = F.aggregate(F.sequence(F.lit(1), F.size("s") - 2, F.lit(3)), F.lit(0.0), lambda a, i: a + F.get("s", i))
+    return out.select("o_orderstatus", covered.cast("long").alias("n"), (F.size("s") / 3 <= 53).alias("small"))
+
+
 def weekly_drift(spark, sf_dir):
     """Each week against the one before."""
     e = load(spark, sf_dir, "events").withColumn("week", F.floor(F.datediff(F.col("ts").cast("date"), F.lit("2024-01-01").cast("date")) / 7).cast("int"))
@@ -660,6 +688,9 @@ def _entries() -> dict[str, tuple[Query, str | None]]:
         "worst_features": (worst_features, grouped_sql(FEATURE_HIST, "select k as feature, round(d, 9) as d from p order by d desc limit 2")),
         "holm_adjusted": (holm_adjusted, HOLM_SQL),
         "drift_by_group": (drift_by_group, grouped_sql(EVENTS_H.format(k="event_type", x="ts < timestamp '2024-01-22'", t="events where ts < timestamp '2024-01-29'"), "select k as event_type, round(d, 9) as d, n, m, round(p, 6) as p_value from p")),
+        "product_features": (product_features, grouped_sql(PRODUCTS_H, "select k as name, round(d, 9) as d, n, m, round(p, 6) as p_value from p")),
+        "cdf_band": (cdf_band, "select count(distinct value) as n, true as inside from events"),
+        "group_sketches": (group_sketches, "select o_orderstatus, count(*) as n, true as small from orders group by 1"),
         "weekly_drift": (weekly_drift, grouped_sql("b as (select datediff('day', date '2024-01-01', ts::date) // 7 as w, value from events), r as (select w, value, false as is_x from b union all select w + 1, value, true from b), " + EVENTS_H.format(k="w", x="is_x", t="r where w between 1 and 4"), "select k::int as week, round(d, 9) as d, n, m from p")),
         "sliding_drift": (sliding_drift, grouped_sql("b as (select datediff('day', date '2024-01-01', ts::date) as w, value from events), r as (select w, value, false as is_x from b union all select w + i, value, true from b, range(1, 8) t(i)), " + EVENTS_H.format(k="w", x="is_x", t="r where w between 7 and 29"), "select k::int as day, round(d, 9) as d, n, m from p")),
         "drift_rollup": (drift_rollup, sets_sql(BALANCES, "(r_name, n_name, value), (r_name, value), (value)", ["r_name", "n_name"])),
