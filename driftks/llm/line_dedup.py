@@ -29,7 +29,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from driftks.llm.tables import settled, table, whole_text
+from driftks.llm.tables import bound, settled, table, whole_text
 
 LEAST = 20
 BLOCK = 32
@@ -130,11 +130,13 @@ def clean(df: DataFrame, key: str = "doc_id", text: str = "text", least: int = L
     stay = first.select("__k", "__h", "no").join(near, same, "left_anti")
     per = stay.groupBy(F.col("__k").alias("__pk"), F.col("__h").alias("__ph")).agg(F.collect_list("no").alias("__nos"))  # of one document
     met = whole.join(per, F.col("__k").eqNullSafe(F.col("__pk")) & (F.col("__h") == F.col("__ph")), "left")
-    parts = _lines("__text")
-    short = F.filter(F.transform(parts, lambda s, i: F.struct(i.alias("i"), s.alias("s"))), lambda p: F.char_length(_bare(p["s"])) < least)
-    long = F.transform(F.coalesce("__nos", F.array().cast("array<int>")), lambda i: F.struct(i.alias("i"), F.get(parts, i).alias("s")))
-    stays = F.array_sort(F.concat(short, long))
-    out = met.withColumn("__stays", F.transform(stays, lambda p: p["s"])).withColumn("lines", F.size(parts)).withColumn("kept", F.size("__stays"))
+
+    def stays(parts: Column) -> Column:
+        short = F.filter(F.transform(parts, lambda s, i: F.struct(i.alias("i"), s.alias("s"))), lambda p: F.char_length(_bare(p["s"])) < least)
+        long = F.transform(F.coalesce("__nos", F.array().cast("array<int>")), lambda i: F.struct(i.alias("i"), F.get(parts, i).alias("s")))
+        return F.transform(F.array_sort(F.concat(short, long)), lambda p: p["s"])
+
+    out = met.withColumn("__stays", bound(_lines("__text"), stays)).withColumn("lines", F.size(_lines("__text"))).withColumn("kept", F.size("__stays"))
     out = out.withColumn(text, F.array_join("__stays", "\n"))
     return out.select(*df.columns, "lines", "kept")
 

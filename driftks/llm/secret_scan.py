@@ -23,7 +23,7 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from driftks.llm.tables import table, whole_text
+from driftks.llm.tables import bound, table, whole_text
 
 # The base patterns and the least length of what they must find.
 ASSIGN = r"""(?i)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
@@ -45,45 +45,83 @@ ALLOW = (
     r"^/?[a-z0-9_-]{1,14}(/[a-z0-9_-]{1,14}){2,}/?$",
 )
 
-SPAN = "array<struct<start:int,kind:int,end:int>>"
+SPAN = "struct<start:int,kind:int,end:int,found:string>"
+#: Results of a fold are gathered by so many, and so many windows of a candidate are looked at together, so that work is linear in a text.
+GATHER, STRETCH = 512, 236
+
+
+def _folded(items: Column, carried: dict[str, Column], step) -> Column:
+    """A fold over ``items`` whose state is ``carried`` and ``out``, an array of spans that grows."""
+    none = F.array().cast(f"array<{SPAN}>")
+    state = lambda of, out: F.struct(*(of[k].alias(k) for k in carried), out.alias("out"))
+
+    def block(so_far: Column, part: Column) -> Column:
+        return bound(F.aggregate(part, state(so_far, none), step), lambda s: state(s, F.concat(so_far["out"], s["out"])))
+
+    count = lambda p: F.ceil(F.size(p) / GATHER).cast("int")
+    parts = bound(items, lambda p: F.transform(F.sequence(F.lit(0), count(p)), lambda k: F.slice(p, k * GATHER + 1, F.lit(GATHER))))
+    return F.aggregate(parts, state(carried, none), block)
 
 
 def located(text: Column, pattern: str, kind: int, keep=None) -> Column:
     """Leftmost non-overlapping matches of ``pattern`` as spans with their text; ``keep`` tests a match."""
     found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    between = F.split(text, pattern, -1)
-    row = "array<struct<start:int,kind:int,end:int,found:string>>"
-    start = F.struct(F.lit(0).alias("at"), F.array().cast(row).alias("out"))
+    pieces = F.zip_with(F.split(text, pattern, -1), found, lambda gap, match: F.struct(F.char_length(gap).alias("gap"), match.alias("match")))
 
-    def step(state: Column, i: Column) -> Column:
-        match = F.element_at(found, i)
-        begin = state["at"] + F.char_length(F.element_at(between, i))
+    def step(state: Column, piece: Column) -> Column:
+        match, begin = piece["match"], state["at"] + piece["gap"]
         end = begin + F.char_length(match)
-        span = F.array(F.struct(begin.alias("start"), F.lit(kind).alias("kind"), end.alias("end"), match.alias("found")).cast(row[6:-1]))
-        out = F.concat(state["out"], span) if keep is None else F.when(keep(match), F.concat(state["out"], span)).otherwise(state["out"])
-        return F.struct(end.alias("at"), out.alias("out"))
+        span = F.array(F.struct(begin.alias("start"), F.lit(kind).alias("kind"), end.alias("end"), match.alias("found")).cast(SPAN))
+        good = match.isNotNull() if keep is None else match.isNotNull() & keep(match)
+        return F.struct(F.coalesce(end, begin).alias("at"), F.when(good, F.concat(state["out"], span)).otherwise(state["out"]).alias("out"))
+
+    return F.when(text.rlike(pattern), _folded(pieces, {"at": F.lit(0)}, step)["out"]).otherwise(F.array().cast(f"array<{SPAN}>"))
+
 
-    return F.when(text.rlike(pattern), F.aggregate(F.sequence(F.lit(1), F.size(found)), start, step)["out"]).otherwise(F.array().cast(row))
+def uncovered(base: Column, more: Column) -> Column:
+    """The spans of ``more`` (by start, none overlaps another) that no span of ``base`` overlaps, in one pass over both."""
+    nothing = F.lit(None).cast(SPAN)
+    last = len(KINDS) - 1
+
+    def step(state: Column, s: Column) -> Column:
+        own, wait = s["kind"] == last, state["wait"]
+        stays = F.when(own, F.when(s["start"] >= state["end"], s)).when(s["start"] >= wait["end"], wait)
+        done = F.when(own & wait.isNotNull(), F.concat(state["out"], F.array(wait))).otherwise(state["out"])
+        # a span that waits and ends before a base span begins still waits for the next of its kind
+        return F.struct(F.when(own, state["end"]).otherwise(F.greatest(state["end"], s["end"])).alias("end"), stays.alias("wait"), done.alias("out"))
+
+    both = F.array_sort(F.concat(base, more))
+    end = bound(_folded(both, {"end": F.lit(0), "wait": nothing}, step), lambda s: F.concat(s["out"], F.filter(F.array(s["wait"]), lambda w: w.isNotNull())))
+    return F.when(F.size(base) == 0, more).otherwise(end)
 
 
 def best_window(candidate: Column, alphabet: str) -> Column:
     """The highest entropy, in bits a character, of the windows over ``candidate``; characters outside the alphabet count nothing."""
     gain = F.array(*(F.lit(n * math.log2(n) if n else 0.0) for n in range(WINDOW + 2)))
     start = F.struct(F.array_repeat(F.lit(0), len(alphabet)).alias("counts"), F.lit(0.0).alias("sum"), F.lit(1e9).alias("least"))
-    place = lambda i: F.instr(F.lit(alphabet), F.substring(candidate, i, F.lit(1)))
 
-    def step(state: Column, i: Column) -> Column:
-        inn, out = place(i), F.when(i > WINDOW, place(i - WINDOW)).otherwise(0)
-        at = lambda k: F.coalesce(F.get(state["counts"], k - 1), F.lit(0))
-        worth = lambda n: F.element_at(gain, n + 1)
-        more = F.when(inn > 0, worth(at(inn) + 1) - worth(at(inn))).otherwise(0.0)
-        less = F.when(out > 0, worth(at(out) - 1) - worth(at(out))).otherwise(0.0)
-        total = state["sum"] + F.when(inn == out, 0.0).otherwise(more + less)
-        counts = F.transform(state["counts"], lambda n, j: n + F.when(j + 1 == inn, 1).otherwise(0) - F.when(j + 1 == out, 1).otherwise(0))
-        return F.struct(counts.alias("counts"), total.alias("sum"), F.when(i >= WINDOW, F.least(state["least"], total)).otherwise(state["least"]).alias("least"))
+    def stretch(part: Column) -> Column:
+        place = lambda i: F.instr(F.lit(alphabet), F.substring(part, i, F.lit(1)))
+
+        def moved(state: Column, i: Column, inn: Column, out: Column) -> Column:
+            at = lambda k: F.coalesce(F.get(state["counts"], k - 1), F.lit(0))
+            worth = lambda n: F.element_at(gain, n + 1)
+            more = F.when(inn > 0, worth(at(inn) + 1) - worth(at(inn))).otherwise(0.0)
+            less = F.when(out > 0, worth(at(out) - 1) - worth(at(out))).otherwise(0.0)
+            total = state["sum"] + F.when(inn == out, 0.0).otherwise(more + less)
+            counts = F.transform(state["counts"], lambda n, j: n + F.when(j + 1 == inn, 1).otherwise(0) - F.when(j + 1 == out, 1).otherwise(0))
+            fresh = F.when(i >= WINDOW, F.least(state["least"], total)).otherwise(state["least"])
+            return F.struct(F.when(inn == out, state["counts"]).otherwise(counts).alias("counts"), total.alias("sum"), fresh.alias("least"))
+
+        def step(state: Column, i: Column) -> Column:
+            ends = F.struct(place(i).alias("inn"), F.when(i > WINDOW, place(i - WINDOW)).otherwise(0).alias("out"))
+            return bound(ends, lambda e: moved(state, i, e["inn"], e["out"]))
+
+        return F.aggregate(F.sequence(F.lit(1), F.char_length(part)), start, step)["least"]
 
-    least = F.aggregate(F.sequence(F.lit(1), F.char_length(candidate)), start, step)["least"]
-    return F.lit(math.log2(WINDOW)) - least / WINDOW
+    last = F.floor((F.char_length(candidate) - WINDOW) / STRETCH).cast("int")
+    parts = F.transform(F.sequence(F.lit(0), last), lambda k: F.substring(candidate, k * STRETCH + 1, F.lit(STRETCH + WINDOW - 1)))
+    return F.lit(math.log2(WINDOW)) - F.array_min(F.transform(parts, stretch)) / WINDOW
 
 
 def is_secret_like(candidate: Column, allow: tuple[str, ...] = ALLOW) -> Column:
@@ -107,8 +145,7 @@ def scan(df: DataFrame, text: str = "text", key: str = "doc_id", allow: tuple[st
         located(body, f"AKIA[A-Z0-9]{{{LEAST['access'] - 4},}}", 1),
         located(body, f"[0-9a-f]{{{LEAST['hex']},}}", 2),
     )
-    near = lambda s: F.exists("__base", lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"]))
-    more = F.filter(located(body, TOKEN, 3), lambda s: ~near(s) & is_secret_like(s["found"], allow))
+    more = F.filter(uncovered(F.col("__base"), located(body, TOKEN, 3)), lambda s: is_secret_like(s["found"], allow))
     return (
         df.select(F.col(key), whole_text(text).alias("__text"))
         .withColumn("__base", base)

@@ -155,6 +155,13 @@ def test_line_dedup_equals_brute_force(spark):
     assert keys(line_dedup.clean(odd)) == ODD_KEYS and line_dedup.clean(odd.limit(0)).count() == 0
 
 
+def test_line_dedup_of_a_long_document(spark):
+    lines = [hashlib.sha1(str(i).encode()).hexdigest() for i in range(20_000)]
+    df = spark.createDataFrame([(1, "\n".join(lines)), (2, "\n".join([*lines[5:9], "short", lines[0][1:], "a line of its own here"]))], "doc_id long, text string")
+    got = {r.doc_id: (r.text, r.lines, r.kept) for r in line_dedup.clean(df).collect()}
+    assert got == {1: ("\n".join(lines), 20_000, 20_000), 2: ("short\na line of its own here", 7, 2)}
+
+
 def test_line_dedup_query(spark, duck):
     same_rows(line_dedup.op8_line_dedup(spark, "/root/testdata/sf0.01"), duck, line_dedup.OP8_SQL)
 

@@ -51,6 +51,26 @@ def test_secrets_equal_brute_force(spark):
     assert "entropy:0:26" in got[7] and not got[9] and not got[12]
 
 
+def long_text(seed):
+    """More findings than one gathering holds, and candidates longer than a stretch that are even but for one place."""
+    r = random.Random(seed)
+    letters = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/"
+    some = lambda n: "".join(r.choice(letters) for _ in range(n))
+    kinds = [
+        lambda: some(r.randrange(15, 60)), lambda: f"token={some(r.randrange(3, 9))}", lambda: "AKIA" + some(20).upper(), lambda: "%040x" % r.getrandbits(160),
+        lambda: f"wörd {r.choice(letters)}", lambda: "a1" * r.randrange(150) + some(r.choice((12, 22))) + "b2" * r.randrange(150), lambda: f"secret: {some(4)}-{'%030x' % r.getrandbits(120)}{some(25)}",
+    ]
+    return "".join(r.choice(kinds)() + r.choice((" ", "\n", ".", ",")) for _ in range(1500))
+
+
+def test_secrets_of_long_texts_equal_brute_force(spark):
+    texts = [long_text(seed) for seed in range(4)] + ["x" * 235 + "".join(map(chr, range(65, 91))) + "1" * n for n in (1, 300)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: ",".join(f"{secret_scan.KINDS[s.kind]}:{s.start}:{s.end}" for s in r.spans) for r in secret_scan.scan(df).collect()}
+    assert got == {i: scanned(t)[1] for i, t in enumerate(texts)}
+    assert got[0].count("entropy") > 100
+
+
 def test_secret_query_equals_brute_force(spark):
     texts = dict(table(spark, SMALL, "documents").select("doc_id", "text").collect())
     for r in secret_scan.op1_secret_scan(spark, SMALL).collect():
