@@ -37,22 +37,31 @@ from driftks.llm.tables import settled, table, whole_text
 SEED = 42
 
 
-def fingerprint(text: str, shingle: int) -> int:
-    """The 64-bit SimHash of one text, as an unsigned integer."""
+def shingle_hashes(text: str, shingle: int) -> np.ndarray:
+    """The 64-bit hash of every word shingle of one text, repeats included."""
     import xxhash
 
     words = text.encode().lower().split()  # of bytes: A-Z alone are lowered, and ASCII white space splits
     if not words:
-        return 0
+        return np.zeros(0, np.uint64)
     parts = [b" ".join(p) for p in zip(*(words[i:] for i in range(shingle)))] or [b" ".join(words)]
     digest = xxhash.xxh64_intdigest
-    hashes = np.fromiter((digest(p, SEED) for p in parts), np.uint64, len(parts))
+    return np.fromiter((digest(p, SEED) for p in parts), np.uint64, len(parts))
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The bits that most of the hashes have; zero if there are none."""
     over = np.zeros(64, np.int64)
     for i in range(0, len(hashes), 4096):
         over += np.unpackbits(hashes[i : i + 4096].astype(">u8").view(np.uint8).reshape(-1, 8), axis=1).sum(0, dtype=np.int64)
     return int.from_bytes(np.packbits(2 * over > len(hashes)).tobytes(), "big")
 
 
+def fingerprint(text: str, shingle: int) -> int:
+    """The 64-bit SimHash of one text, as an unsigned integer."""
+    return majority(shingle_hashes(text, shingle))
+
+
 def fingerprints(df: DataFrame, key: str = "doc_id", text: str = "text", shingle: int = 3) -> DataFrame:
     """``key`` and ``fp`` (a long that holds the 64 bits) of every row."""
     kind = df.schema[key].dataType

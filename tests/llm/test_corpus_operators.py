@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from driftks.llm import components, decontaminate, line_dedup, neighbors, sharding, simhash, warc
+from driftks.llm import components, decontaminate, line_dedup, near_copies, neighbors, sharding, simhash, warc
 from driftks.llm.tables import shared_folder, table
 
 from ..conftest import same_rows
@@ -259,3 +259,38 @@ def test_pipeline_keeps_clean_documents(spark):
     assert out.columns == ["doc_id", "n_tokens", "ids"]
     ids = [r.doc_id for r in out.select("doc_id").collect()]
     assert len(ids) == len(set(ids)) and len(ids) > docs.count() // 2
+
+
+def edited(r, words, edits):
+    out = list(words)
+    for i in r.sample(range(len(out)), edits):
+        out[i] = f"new{r.randrange(10**9)}"
+    return out
+
+
+def shingles(text):
+    w = text.split()
+    return {tuple(w[i : i + 5]) for i in range(len(w) - 4)}
+
+
+def jaccard(a, b):
+    return len(a & b) / len(a | b)
+
+
+@pytest.mark.parametrize("crowd", [4, 64])
+def test_near_copies_at_similarity_of_four_fifths(spark, crowd):
+    r = random.Random(11)
+    texts = []
+    for _ in range(60):
+        base = [f"w{r.randrange(10**6)}" for _ in range(200)]
+        texts += [" ".join(base)] + [" ".join(edited(r, base, r.choice([1, 2, 3, 4, 5, 6, 9]))) for _ in range(2)]
+    base = [f"w{r.randrange(10**6)}" for _ in range(150)]
+    texts += [" ".join(edited(r, base, r.choice([0, 1, 1, 2, 4, 5]))) for _ in range(90)]
+    sets = [shingles(t) for t in texts]
+    true = [(i, j) for i in range(len(texts)) for j in range(i + 1, len(texts)) if jaccard(sets[i], sets[j]) >= 0.8]
+    want = closure(range(len(texts)), true)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {x.doc_id for x in near_copies.firsts(df, "doc_id", crowd=crowd).collect()}
+    assert got == set(want.values())
+    if crowd == near_copies.CROWD:
+        assert {x.doc_id for x in corpus_pipeline.without_near_copies(spark, df, SMALL).collect()} == got
