@@ -11,15 +11,15 @@ kept per query.
 Leaves larger than ``block`` vectors (frequent or equal vectors) are dealt out over several groups by
 a hash of the id, and queries over groups of ``query_block``, so no group grows with the data; the
 query goes to all groups of a leaf, so nothing is left out. The 2k-th best score among the sample's
-rows tells what the k best of the whole table exceed; leaves report nothing below it. Should a
+ids (one row of each) tells what the k best of the whole table exceed; leaves report nothing below it. Should a
 query find fewer than k rows above, it is searched again through all leaves.
 
 Without structure in the data (independent normal components), near vectors hide in many leaves; the
 default ``reach`` keeps a recall above 0.9 in 64 such dimensions and is more than structured data need.
 
 Edge cases: vectors that are null, empty, zero, of another length than most, or hold null or
-non-finite components take no part; null ids neither; rows that repeat an id are candidates once
-(their best score); ties go to the smaller id; with fewer candidates than ``k`` all are returned; an
+non-finite components take no part; null ids neither; rows that repeat id and vector are merged first,
+and rows that repeat an id are one candidate (their best score) in every block too; ties go to the smaller id; with fewer candidates than ``k`` all are returned; an
 empty table or no query gives an empty result; other columns are ignored.
 """
 
@@ -113,17 +113,21 @@ def inner(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 def best_of(queries: np.ndarray, names: np.ndarray, floors: np.ndarray, x: np.ndarray, ids: np.ndarray, k: int) -> Iterator[pd.DataFrame]:
-    """For each query: the best ``k`` of ``ids`` other than itself that reach its floor, with exact scores."""
+    """For each query: the best ``k`` of the distinct ``ids`` other than itself that reach its floor, with exact scores."""
+    order = np.argsort(ids, kind="stable")
+    x, ids = x[order], ids[order]
+    begins = np.flatnonzero(np.r_[True, ids[1:] != ids[:-1]])
+    repeats = np.diff(np.r_[begins, len(ids)])
     for at in range(0, len(queries), 1024):
         q, own, floor = queries[at : at + 1024], names[at : at + 1024], floors[at : at + 1024]
         rough = q @ x.T
         rough[own[:, None] == ids] = -np.inf
-        if rough.shape[1] > k:
-            floor = np.maximum(floor, np.partition(rough, -k, axis=1)[:, -k])
+        best = np.maximum.reduceat(rough, begins, axis=1) if len(begins) < len(ids) else rough
+        if best.shape[1] > k:
+            floor = np.maximum(floor, np.partition(best, -k, axis=1)[:, -k])
+        least = floor[:, None] if best is rough else np.maximum(floor[:, None], np.repeat(best, repeats, axis=1))
         # a hair below the bound, so that rounding loses no tie
-        a, b = np.nonzero(rough >= (floor - 1e-9 * (1 + np.abs(floor)))[:, None])
-        keep = np.isfinite(rough[a, b])
-        a, b = a[keep], b[keep]
+        a, b = np.nonzero((rough >= least - 1e-9 * (1 + np.abs(least))) & np.isfinite(rough))
         yield pd.DataFrame({"query_id": own[a], "vec_id": ids[b], "score": inner(q[a], x[b])})
 
 
@@ -142,7 +146,7 @@ def search(df: DataFrame, is_query: Column, key: str = "vec_id", vector: str = "
     """``query_id``, ``rank``, ``vec_id`` and ``score`` of the ``k`` nearest rows found for each row where ``is_query``
     (a condition on ``vec_id``, which is what the key is called inside)."""
     spark = df.sparkSession
-    rows = usable(df, key, vector)
+    rows = settled(usable(df, key, vector).distinct())
     sizes = rows.groupBy(F.size("v").alias("d")).agg(F.count("*").alias("n"), F.count_if(is_query).alias("q")).orderBy(F.desc("n"), "d").limit(1).collect()
     if not sizes:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
@@ -153,7 +157,8 @@ def search(df: DataFrame, is_query: Column, key: str = "vec_id", vector: str = "
     sample = drawn.limit(2 * fit_rows).toPandas().sort_values("vec_id", kind="stable")
     points = _matrix(sample["v"], dim)
     forest = share(spark, Forest(points, n, trees, leaf))
-    floor = share(spark, (points, sample["vec_id"].to_numpy()))
+    once = ~sample["vec_id"].duplicated().to_numpy()
+    floor = share(spark, (points[once], sample["vec_id"].to_numpy()[once]))
 
     def put(batches):
         f = held(forest)

@@ -241,6 +241,20 @@ def test_neighbours_recall_and_ties(spark):
     assert neighbors.search(d.limit(0), F.col("vec_id") % 20 == 0).count() == 0
 
 
+def test_neighbours_with_repeated_ids(spark):
+    r = np.random.default_rng(4)
+    rows = [(i, v.tolist()) for i, v in enumerate(r.normal(size=(100, 4)))]
+    rows += [(500, [9.0, 9.0, 9.0, 9.0])] * 30 + [(600, [9.0, 9.0, 9.0, 9.0 + i / 100]) for i in range(30)]
+    x = {}
+    for i, v in rows:
+        x.setdefault(i, []).append(np.array(v))
+    d = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    out = neighbors.search(d, F.col("vec_id").isin(20, 40, 60)).orderBy("query_id", "rank").collect()
+    for q in (20, 40, 60):
+        best = {i: max(float(v @ x[q][0]) for v in vs) for i, vs in x.items() if i != q}
+        assert [o.vec_id for o in out if o.query_id == q] == sorted(best, key=lambda i: (-best[i], i))[:20]
+
+
 def test_pipeline_stages(spark):
     odd = odd_documents(spark).drop("hash")
     ways = [corpus_pipeline.without_repeated_lines, corpus_pipeline.without_near_copies, corpus_pipeline.without_leaks]
