@@ -232,9 +232,13 @@ def test_neighbours_recall_and_ties(spark):
     assert np.mean(hits) >= 0.9
     rows = [(i, [float(i % 7), 1.0]) for i in range(60)] + [(100, None), (120, [0.0, 0.0]), (140, [float("nan"), 1.0]), (160, [1.0]), (None, [1.0, 1.0]), (180, [5.0, None]), (7, [0.0, 1.0])]
     d = spark.createDataFrame([(*r, 1) for r in rows], "vec_id long, embedding array<double>, score int")
-    for options in ({}, {"block": 8, "leaf": 8, "query_block": 1}):
+    for options in ({}, {"block": 8, "leaf": 8, "query_block": 1}, {"visits": 1, "leaf": 4}):
         out = neighbors.search(d, F.col("vec_id") % 20 == 0, **options).orderBy("query_id", "rank").collect()
-        assert {r.query_id for r in out} == {0, 20, 40} and len(out) == 60
+        assert {r.query_id for r in out} == {0, 20, 40, 160} and len(out) == 80
+        if "visits" in options:
+            continue
+        # the short vector counts as [1, 0]
+        assert [(r.vec_id, r.score) for r in out if r.query_id == 160] == sorted(((i, float(i % 7)) for i in range(60)), key=lambda t: (-t[1], t[0]))[:20]
         top = [(r.vec_id, r.score) for r in out if r.query_id == 20]
         true = sorted(((i, 6.0 * (i % 7) + 1.0) for i in range(60) if i != 20), key=lambda t: (-t[1], t[0]))[:20]
         assert top == true
@@ -255,6 +259,23 @@ def test_neighbours_with_repeated_ids(spark):
         assert [o.vec_id for o in out if o.query_id == q] == sorted(best, key=lambda i: (-best[i], i))[:20]
 
 
+def test_neighbours_of_structured_data_take_few_leaves(spark):
+    r = np.random.default_rng(9)
+    centres = r.normal(size=(300, 32))
+    x = np.repeat(centres, 20, axis=0) + 0.15 * r.normal(size=(6000, 32))
+    forest = neighbors.Forest(x, len(x))
+    assert forest.needed(x, np.arange(len(x)), 20, 0.96) < 0.15 * forest.leaves
+    d = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)] + [(i, x[0].tolist()) for i in range(6000, 7000)], "vec_id long, embedding array<double>")
+    got, hits = neighbors.search(d, F.col("vec_id") % 100 == 0).toPandas(), []
+    whole = np.vstack([x, np.repeat(x[:1], 1000, axis=0)])
+    for q, rows in got.groupby("query_id"):
+        s = whole @ whole[q]
+        s[q] = -np.inf
+        hits.append(len(set(rows.vec_id) & set(np.lexsort((np.arange(7000), -s))[:20])) / 20)
+        assert np.allclose(rows.score, s[rows.vec_id])
+    assert len(hits) == 70 and np.mean(hits) >= 0.9
+
+
 def test_pipeline_stages(spark):
     odd = odd_documents(spark).drop("hash")
     ways = [corpus_pipeline.without_repeated_lines, corpus_pipeline.without_near_copies, corpus_pipeline.without_leaks]
