@@ -8,8 +8,11 @@ until it lands inside (cycle walking), which makes a permutation of 0 .. N-1. Pl
 no gaps, and both can be computed, and inverted, from the row number alone.
 
 Only (key, size, checksum) and never a text is shuffled. Equal triples are counted before the
-shuffle and numbered as a run, so that no key, however frequent, fills a task. The counts of
-the hash buckets (a fixed number of rows) are broadcast.
+shuffle and numbered as a run, and long runs are cut into pieces, so that no key, however
+frequent, fills a task. The counts of the hash buckets are broadcast.
+
+Under this law (``rows``) shards differ by one row at most and nothing else decides: rows with
+equal texts are a group for no purpose, and are spread like any others.
 
 Edge cases: a null text has size 1 and the checksum of the empty text; a null key is a key like
 others; equal rows take different places of one run; an empty table gives an empty result; other
@@ -26,6 +29,8 @@ from pyspark.sql import functions as F
 from driftks.llm.tables import settled, table, whole_text
 
 ROUNDS = 6
+#: Rows of a hash bucket, about, and rows that one piece of a run becomes at most.
+PER_BUCKET, CHUNK = 1_000_000, 1 << 20
 
 
 def half_bits(n: int) -> int:
@@ -76,25 +81,33 @@ def original(places: np.ndarray, n: int, seed: int) -> np.ndarray:
     return out.astype(np.int64)
 
 
-def numbered(rows: DataFrame, buckets: int = 4096) -> tuple[DataFrame, int]:
+def numbered(rows: DataFrame, per_bucket: int = PER_BUCKET, chunk: int = CHUNK) -> tuple[DataFrame, int]:
     """Add ``row``, a global number from 0 without gaps, to rows of small columns, and return their count.
 
-    Equal rows are counted first; ``buckets`` bounds both the broadcast prefix sums and, with an
-    even hash, the share of one task.
+    Equal rows are counted first and numbered as a run; a run longer than ``chunk`` is cut into pieces that are
+    dealt over the tasks before they become rows. Buckets grow with the rows (``per_bucket`` of each), so one bucket is never
+    more than a task holds; their counts are collected and broadcast (16 bytes for each ``per_bucket`` rows).
     """
-    cols = rows.columns
+    spark, cols = rows.sparkSession, rows.columns
+    buckets = max(4096, rows.count() // per_bucket)
     counted = rows.groupBy(*cols).agg(F.count("*").alias("__n")).withColumn("__b", F.pmod(F.xxhash64(*cols), F.lit(buckets)))
     counted = settled(counted)
-    sizes = {r[0]: r[1] for r in counted.groupBy("__b").agg(F.sum("__n")).collect()}  # ``buckets`` rows at most
+    sizes = {r[0]: (r[1], r[2]) for r in counted.groupBy("__b").agg(F.sum("__n"), F.max("__n")).collect()}  # ``buckets`` rows at most
     starts, total = [], 0
     for b in range(buckets):
         starts.append((b, total))
-        total += sizes.get(b, 0)
-    offsets = F.broadcast(rows.sparkSession.createDataFrame(starts, "__b long, __start long"))
+        total += sizes.get(b, (0, 0))[0]
+    offsets = F.broadcast(spark.createDataFrame(starts, "__b long, __start long"))
     before = F.sum("__n").over(Window.partitionBy("__b").orderBy(*cols).rowsBetween(Window.unboundedPreceding, -1))
     ranked = counted.withColumn("__before", F.coalesce(before, F.lit(0))).join(offsets, "__b")
-    first = F.col("__start") + F.col("__before")
-    return ranked.select(*cols, F.explode(F.sequence(first, first + F.col("__n") - 1)).alias("row")), total
+    ranked = ranked.select(*cols, "__n", (F.col("__start") + F.col("__before")).alias("__first"))
+    run = F.explode(F.sequence(F.col("__first"), F.col("__first") + F.col("__n") - 1))
+    if max((m for _, m in sizes.values()), default=0) <= chunk:
+        return ranked.select(*cols, run.alias("row")), total
+    piece = F.explode(F.sequence(F.lit(0).cast("long"), F.ceil(F.col("__n") / chunk).cast("long") - 1)).alias("__piece")
+    begin = F.col("__first") + F.col("__piece") * chunk
+    pieces = ranked.select(*cols, "__n", "__first", piece).select(*cols, begin.alias("__first"), F.least(F.lit(chunk).cast("long"), F.col("__n") - F.col("__piece") * chunk).alias("__n"))
+    return pieces.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "__first").select(*cols, run.alias("row")), total
 
 
 def plan_shards(df: DataFrame, shards: int = 16, seed: int = 20, key: str = "doc_id", text: str = "text") -> DataFrame:

@@ -2,10 +2,12 @@
 
 import hashlib
 import random
+import time
 import zlib
 
 import numpy as np
 import pytest
+import xxhash
 from pyspark.sql import functions as F
 
 import corpus_pipeline
@@ -38,6 +40,47 @@ def test_shards(spark):
     assert sorted(map(str, again.collect())) == sorted(map(str, sharding.plan_shards(odd, 3).collect()))
 
 
+def feistel(x, n, seed):
+    """The permutation once more, one number at a time."""
+    bits = 1
+    while 4**bits < n:
+        bits += 1
+    mask = (1 << bits) - 1
+    while True:
+        left, right = x >> bits, x & mask
+        for key in np.random.SeedSequence(seed).generate_state(6, np.uint64):
+            m = (right + int(key)) * 0x9E3779B97F4A7C15 % 2**64
+            m = (m ^ (m >> 29)) * 0xBF58476D1CE4E5B9 % 2**64
+            left, right = right, left ^ ((m ^ (m >> 32)) & mask)
+        x = left << bits | right
+        if x < n:
+            return x
+
+
+def test_shard_and_slot_of_every_row(spark):
+    rows, order = sharding.op2_feistel_shards(spark, SMALL).collect(), {}
+    for r in rows:
+        h = 42
+        for c in (r.doc_id, r["size"], r.text_crc32):
+            h = xxhash.xxh64_intdigest(c.to_bytes(8, "little"), h)
+        order[r.doc_id] = ((h - 2**64 if h >> 63 else h) % 4096, r.doc_id, r["size"], r.text_crc32)
+    for number, key in enumerate(sorted(order, key=order.get)):
+        place = feistel(number, len(rows), 20)
+        r = next(x for x in rows if x.doc_id == key)
+        assert (r.row, r.shard, r.slot) == (number, place % 16, place // 16)
+
+
+def test_a_run_of_equal_rows_needs_no_array(spark):
+    """300,000,000 copies of one row beside others: numbered without gaps, by many tasks."""
+    many = spark.range(0, 300_000_000, 1, 8).select(F.lit(7).cast("long").alias("k")).union(spark.range(1000).select("id"))
+    rows, n = sharding.numbered(many)
+    assert n == 300_001_000
+    got = rows.agg(F.count("*"), F.min("row"), F.max("row"), F.sum("row"), F.count_if(F.col("k") == 7)).first()
+    assert tuple(got) == (n, 0, n - 1, n * (n - 1) // 2, 300_000_001)
+    small, _ = sharding.numbered(spark.range(10).select((F.col("id") % 2).alias("k")), chunk=2)
+    assert sorted(r["row"] for r in small.collect()) == list(range(10))
+
+
 def test_warc_round_trip(spark):
     x = "y" * 1200
     rows = [(1, "u", x), (2, None, x), (3, "v", x + "\r\n\r\nWARC/1.1"), (4, "a\nb", None), (5, "a", ""), (6, "w", "z" * 999), (7, "w", "z" * 999), (None, "q", x), (8, "v2", "é" * 700), (2, None, x)]
@@ -155,6 +198,39 @@ def test_line_dedup_equals_brute_force(spark):
     assert keys(line_dedup.clean(odd)) == ODD_KEYS and line_dedup.clean(odd.limit(0)).count() == 0
 
 
+def test_one_edit_equals_brute_force(spark):
+    r = random.Random(8)
+    rows = [("", ""), ("a", ""), ("", "ab"), ("ab", "ba"), ("x" * 64, "x" * 65), ("x" * 64, "x" * 66)]
+    for _ in range(600):
+        a = "".join(r.choices("ab😀", k=r.choice([1, 2, 31, 32, 33, 64, 65, 90])))
+        b = list(a)
+        for _ in range(r.randint(0, 2)):
+            k, o = r.randrange(len(b) + 1), r.randrange(3)
+            b[k : k + (o != 1)] = [] if o == 2 else [r.choice("abc")]
+        rows.append((a, "".join(b)))
+    df = spark.createDataFrame([(i, *x) for i, x in enumerate(rows)], "i int, a string, b string")
+    got = {x.i: x.ok for x in df.select("i", line_dedup.within_one_edit(F.col("a"), F.col("b")).alias("ok")).collect()}
+    assert got == {i: one_edit(*x) for i, x in enumerate(rows)}
+
+
+def test_line_dedup_of_very_long_lines(spark):
+    """Two megabytes in one line, one character changed, and one left out: work must not grow with the square."""
+    r = random.Random(6)
+    a = "".join(r.choices("abcdefgé ", k=2_000_000)).strip()
+    m = len(a) // 2
+    df = spark.createDataFrame([(1, a), (2, a[:m] + "#" + a[m + 1 :]), (3, a[:m] + a[m + 1 :])], "doc_id long, text string")
+    began = time.perf_counter()
+    assert {x.doc_id: x.kept for x in line_dedup.clean(df).collect()} == {1: 1, 2: 0, 3: 0}
+    assert time.perf_counter() - began < 40
+
+
+def test_line_dedup_lengths_and_names(spark):
+    df = spark.createDataFrame([(1, "a\nb\na"), (2, "a\nc")], "doc_id long, text string")
+    assert {x.doc_id: x.text for x in line_dedup.clean(df, least_exact=1).collect()} == {1: "a\nb", 2: "c"}
+    with pytest.raises(ValueError):
+        line_dedup.clean(df.withColumn("lines", F.lit(7)))
+
+
 def test_line_dedup_of_a_long_document(spark):
     lines = [hashlib.sha1(str(i).encode()).hexdigest() for i in range(20_000)]
     df = spark.createDataFrame([(1, "\n".join(lines)), (2, "\n".join([*lines[5:9], "short", lines[0][1:], "a line of its own here"]))], "doc_id long, text string")
