@@ -1,16 +1,19 @@
 """Benchmark decontamination: rare n-gram seeds, then Smith-Waterman alignment.
 
-One pass counts, over all texts, the words that occur in test items. From these counts follows how
-often an n-gram of an item would occur by chance; the rarest half of an item's n-grams (and all
-that are rarer than ``rare``) are its seeds. A second pass looks every n-gram of every text up
-among the seeds. Around the hits of an item, along the diagonal that they give, a window of the
-text is aligned with the item, word by word, with gaps (Smith-Waterman: 1 for equal words, -1/2 for a
-changed, added or missing one). A passage counts if its score is at least ``least`` of the
-item's number of words, so copies with a quarter of their words edited still count.
+One pass counts, over all texts, the n-grams that occur in test items. The rarest half of an item's
+n-grams, and all that are rare in themselves (``RARE``, ``FEW``: n-grams that no text holds tell
+nothing, so an edited copy may have others only), are its seeds. A second pass joins
+every n-gram of every text to the seeds, which are broadcast. Around the hits of an item, along the
+diagonal that they give, a window of the text is aligned with the item, word by word, with gaps
+(Smith-Waterman: 1 for equal words, -1/2 for a changed, added or missing one). What is left of a window
+on either side of its best passage is aligned again, until nothing counts. A passage counts if its
+score is at least ``least`` of the item's number of words, so copies with a quarter of their words
+edited still count.
 
 Both passes hash whole batches of text as bytes with numpy. Items go to the workers by broadcast in
-blocks of at most ``block_words`` words; a larger benchmark is worked through block after block. No
-text is shuffled.
+blocks of at most ``block_bytes`` bytes of text (one item at least); a larger benchmark is worked through
+block after block. No text is shuffled. Windows span one item's length of diagonals at most and are aligned
+in groups of bounded area, so a periodic text takes no more memory than another.
 
 Edge cases: null and empty texts hold nothing; items with fewer words than a seed are not looked
 for; equal items are found each; of overlapping passages of one item in a text the best is
@@ -21,6 +24,7 @@ lower-cased text, end exclusive.
 
 from __future__ import annotations
 
+from bisect import bisect
 from collections.abc import Iterator
 from typing import NamedTuple
 
@@ -34,11 +38,14 @@ from driftks.llm.tables import table, whole_text
 from driftks.plans.shipping import held, share
 
 SEED_WORDS = 3
-RARE = 1e-7
+#: An n-gram is rare up to this share of the corpus's n-grams, or up to so many occurrences.
+RARE, FEW = 1e-7, 64
 LEAST = 0.5
 MISS = 0.5
-BLOCK_WORDS = 2_000_000
+BLOCK_BYTES = 8_000_000
 CHUNK = 1_000_000
+#: Bytes that are hashed at once (a longer text is cut at a blank), and cells of the windows that are aligned at once.
+PIECE, AREA = 4_000_000, 400_000
 RADIX = 0x9E3779B97F4A7C15
 
 
@@ -59,11 +66,33 @@ def _powers(n: int) -> np.ndarray:
 
 _IS_WORD = np.zeros(256, bool)
 _IS_WORD[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = True
-_known: dict[str, np.ndarray] = {}
+
+
+class _Memory(dict):
+    """Tables that every process makes for itself: pickled, it is empty."""
+
+    def __reduce__(self):
+        return _Memory, ()
+
+
+_known = _Memory()
 
 
 def words_of(texts: list[bytes]) -> Words:
     """Words (runs of letters, digits and other non-ASCII characters but punctuation) of lower-case UTF-8 texts."""
+    if len(texts) != 1 or len(texts[0]) <= PIECE:
+        return _words(texts)
+    text, parts, at = texts[0], [], 0
+    while at < len(text):
+        end = len(text) if len(text) - at <= PIECE else text.find(b" ", at + PIECE)
+        end = len(text) if end < 0 else end
+        w = _words([text[at:end]])
+        parts.append(Words(w.hash, w.start + at, w.end + at, w.owner))
+        at = end
+    return Words(*map(np.concatenate, zip(*parts, strict=True)))
+
+
+def _words(texts: list[bytes]) -> Words:
     sizes = np.fromiter(map(len, texts), np.int64, len(texts))
     raw = np.frombuffer(b"\n".join(texts) + b"\n", np.uint8)
     if len(_known.get("p", ())) < len(raw):
@@ -157,22 +186,22 @@ def align(items: list[np.ndarray], windows: list[np.ndarray]) -> tuple[np.ndarra
 class Matcher:
     """The seeds and words of a block of test items; finds their passages in texts."""
 
-    def __init__(self, ids: list, texts: list[str], rate=None, rare: float = RARE, least: float = LEAST):
-        """``rate``: share of each word (by hash) among all words of the corpus; None: all n-grams are seeds."""
+    def __init__(self, ids: list, texts: list[str], counts: dict[int, int] | None = None, total: int = 0, least: float = LEAST):
+        """``counts``: of each n-gram (by hash) among the ``total`` n-grams of the corpus; None: all are seeds."""
         self.ids, self.least = ids, least
         w = words_of([t.lower().encode() for t in texts])
         bounds = np.searchsorted(w.owner, np.arange(len(texts) + 1))
         self.items = [w.hash[bounds[k] : bounds[k + 1]] for k in range(len(texts))]
+        self.lens = np.array(list(map(len, self.items)), np.int64)
         gram, at = grams_of(w)
         keep = np.ones(len(gram), bool)
-        if rate is not None and len(gram):
-            share = np.array([rate.get(int(h), 0.0) for h in w.hash])
-            chance = np.prod([share[at + k] for k in range(SEED_WORDS)], axis=0)
-            order = np.lexsort((chance, w.owner[at]))
+        if counts is not None and len(gram):
+            count = np.array([counts.get(h, 0) for h in gram.tolist()])
+            order = np.lexsort((count, w.owner[at]))
             size = np.bincount(w.owner[at], minlength=len(texts))
             rank = np.empty(len(gram), np.int64)
             rank[order] = np.arange(len(gram)) - np.repeat(np.cumsum(size) - size, size)
-            keep = (rank < np.maximum(8, (size[w.owner[at]] + 1) // 2)) | (chance <= rare)
+            keep = (rank < np.maximum(8, (size[w.owner[at]] + 1) // 2)) | (count <= max(FEW, RARE * total))
         gram, at = gram[keep], at[keep]
         self.lookup = Lookup(gram)
         # which (item, place) each seed has
@@ -184,15 +213,7 @@ class Matcher:
 
     def match(self, texts: list[str | None]) -> list[tuple[int, int, float, int, int]]:
         """(text, item, score as a share of the item's words, start, end) of every passage."""
-        out, at = [], 0
-        while at < len(texts):
-            stop, size = at, 0
-            while stop < len(texts) and (stop == at or size + len(texts[stop] or "") < CHUNK):
-                size += len(texts[stop] or "")
-                stop += 1
-            out += [(at + t, *rest) for t, *rest in self._chunk([(x or "").lower().encode() for x in texts[at:stop]])]
-            at = stop
-        return out
+        return [(at + t, *rest) for at, raw in portions(texts) for t, *rest in self._chunk(raw)]
 
     def _chunk(self, raw: list[bytes]) -> list[tuple]:
         w = words_of(raw)
@@ -205,87 +226,139 @@ class Matcher:
         word = np.repeat(first[hit], times)
         item, text = self.seed_item[seed], w.owner[word]
         diagonal = word - self.seed_place[seed]
-        # neighbouring diagonals of one item in one text make one window
+        # neighbouring diagonals of one item in one text make one window, as long as they are within one item's length
         order = np.lexsort((diagonal, item, text))
         item, text, diagonal = item[order], text[order], diagonal[order]
-        lens = np.array(list(map(len, self.items)))
+        lens = self.lens
         new = np.ones(len(item), bool)
         new[1:] = (item[1:] != item[:-1]) | (text[1:] != text[:-1]) | (diagonal[1:] - diagonal[:-1] > lens[item[1:]] // 2 + 2)
+        chain = np.flatnonzero(new)[np.cumsum(new) - 1]
+        stretch = (diagonal - diagonal[chain]) // np.maximum(lens[item], 1)
+        new[1:] |= stretch[1:] != stretch[:-1]
         begin = np.flatnonzero(new)
         last = np.append(begin[1:], len(item)) - 1
         bounds = np.searchsorted(w.owner, np.arange(len(raw) + 1))
         slack = lens[item[begin]] // 4 + 2
         low = np.maximum(bounds[text[begin]], diagonal[begin] - slack)
         high = np.minimum(bounds[text[begin] + 1], diagonal[last] + lens[item[begin]] + slack)
-        found = []
-        order = np.lexsort((high - low, lens[item[begin]]))
-        for k in range(0, len(order), 256):
-            some = order[k : k + 256]
-            items = [self.items[i] for i in item[begin[some]]]
-            windows = [w.hash[a:b] for a, b in zip(low[some], high[some], strict=True)]
-            score, end = align(items, windows)
-            good = np.flatnonzero(score >= self.least * lens[item[begin[some]]])
-            if not len(good):
-                continue
-            # the same alignment read backwards ends where it begins
-            _, back = align([items[g][::-1] for g in good], [windows[g][: end[g]][::-1] for g in good])
-            for g, b in zip(good, back, strict=True):
-                k0 = low[some[g]]
-                t = int(text[begin[some[g]]])
-                a, z = w.start[k0 + end[g] - b], w.end[k0 + end[g] - 1]
-                i = int(item[begin[some[g]]])
-                found.append((t, i, float(score[g]) / len(self.items[i]), len(raw[t][:a].decode()), len(raw[t][:z].decode())))
-        return sorted(found)
-
-
-def item_blocks(items: DataFrame, key: str, text: str, block_words: int = BLOCK_WORDS) -> Iterator[list]:
-    """The test items as lists of rows, each of ``block_words`` words or so, by a hash of the text."""
+        found: dict[tuple[int, int], list[tuple[float, int, int]]] = {}
+        todo = np.stack([text[begin], item[begin], low, high], 1)
+        while len(todo):
+            rest = []
+            todo = todo[np.lexsort((todo[:, 3] - todo[:, 2], lens[todo[:, 1]]))]
+            for some in _areas(todo):
+                items = [self.items[i] for i in some[:, 1]]
+                views = [w.hash[a:b] for a, b in some[:, 2:].tolist()]
+                score, end = align(items, views)
+                good = np.flatnonzero(score >= self.least * lens[some[:, 1]])
+                if not len(good):
+                    continue
+                # the same alignment read backwards ends where it begins
+                _, back = align([items[g][::-1] for g in good], [views[g][: end[g]][::-1] for g in good])
+                for g, b in zip(good.tolist(), back.tolist(), strict=True):
+                    t, i, a, z = some[g].tolist()
+                    first, past = a + int(end[g]) - b, a + int(end[g])
+                    found.setdefault((t, i), []).append((float(score[g]), first, past))
+                    rest += [(t, i, x, y) for x, y in ((a, first), (past, z)) if y - x >= self.least * lens[i]]
+            todo = np.array(rest, np.int64).reshape(-1, 4)
+        out = []
+        for (t, i), passages in found.items():
+            for score, a, z in _apart(passages):
+                out.append((t, i, score / len(self.items[i]), w.start[a], w.end[z - 1]))
+        return _in_characters(raw, sorted(out))
+
+
+def _areas(todo: np.ndarray) -> Iterator[np.ndarray]:
+    """Rows (text, item, first, past) in order of their width, in groups whose padded area is bounded."""
+    at, width = 0, todo[:, 3] - todo[:, 2]
+    while at < len(todo):
+        end, most = at + 1, int(width[at])
+        while end < len(todo) and (end + 1 - at) * max(most, int(width[end])) <= AREA:
+            most = max(most, int(width[end]))
+            end += 1
+        yield todo[at:end]
+        at = end
+
+
+def _apart(passages: list[tuple[float, int, int]]) -> list[tuple[float, int, int]]:
+    """Of passages that overlap, the best."""
+    taken: list[tuple[int, int]] = []
+    out = []
+    for score, a, z in sorted(set(passages), key=lambda p: (-p[0], p[1], p[2])):
+        k = bisect(taken, (a, z))
+        if (k == 0 or taken[k - 1][1] <= a) and (k == len(taken) or z <= taken[k][0]):
+            taken.insert(k, (a, z))
+            out.append((score, a, z))
+    return out
+
+
+def _in_characters(raw: list[bytes], found: list[tuple]) -> list[tuple]:
+    """Byte places as places of code points: those that begin before each."""
+    out, of, points = [], None, None
+    for t, i, score, a, z in found:
+        if raw[t].isascii():
+            out.append((t, i, score, int(a), int(z)))
+            continue
+        if of != t:
+            of, points = t, np.cumsum((np.frombuffer(raw[t], np.uint8) & 0xC0) != 0x80)
+        out.append((t, i, score, int(points[a - 1]) if a else 0, int(points[z - 1])))
+    return out
+
+
+def item_blocks(items: DataFrame, key: str, text: str, block_bytes: int = BLOCK_BYTES) -> Iterator[list]:
+    """The test items as lists of rows, each of ``block_bytes`` bytes of text or so, by a hash of (id, text)."""
     rows = items.select(key, whole_text(text).alias("text"))
-    words = rows.agg(F.sum(F.size(F.split("text", " ")))).first()[0] or 0
-    blocks = words // block_words + 1
+    size = rows.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0
+    blocks = size // block_bytes + 1
     for b in range(blocks):
-        part = rows if blocks == 1 else rows.where(F.pmod(F.xxhash64("text"), F.lit(blocks)) == b)
+        part = rows if blocks == 1 else rows.where(F.pmod(F.xxhash64(key, "text"), F.lit(blocks)) == b)
         yield sorted(part.collect(), key=lambda r: (r[0] is None, r[0], r[1]))
 
 
-def word_rates(docs: DataFrame, texts: list[str], text: str = "text") -> dict[int, float]:
-    """The share, among all words of ``docs``, of each word of the test items ``texts``."""
-    wanted = share(docs.sparkSession, Lookup(words_of([t.lower().encode() for t in texts]).hash))
+def portions(texts: list[str | None]) -> Iterator[tuple[int, list[bytes]]]:
+    """Lower-case texts as bytes, some ``CHUNK`` characters at a time (one text at least), and the number of the first."""
+    at = 0
+    while at < len(texts):
+        stop, size = at, 0
+        while stop < len(texts) and (stop == at or size + len(texts[stop] or "") < CHUNK):
+            size += len(texts[stop] or "")
+            stop += 1
+        yield at, [(t or "").lower().encode() for t in texts[at:stop]]
+        at = stop
+
+
+def gram_counts(docs: DataFrame, texts: list[str], text: str = "text") -> tuple[dict[int, int], int]:
+    """How often each n-gram of the test items ``texts`` occurs in ``docs``, and how many n-grams these hold."""
+    wanted = share(docs.sparkSession, Lookup(grams_of(words_of([t.lower().encode() for t in texts]))[0]))
 
     def run(batches):
         lookup = held(wanted)
         seen, total = np.zeros(len(lookup.keys), np.int64), 0
         for batch in batches:
-            texts, at = batch.column(0).to_pylist(), 0
-            while at < len(texts):
-                stop, size = at, 0
-                while stop < len(texts) and (stop == at or size + len(texts[stop]) < CHUNK):
-                    size += len(texts[stop])
-                    stop += 1
-                w = words_of([t.lower().encode() for t in texts[at:stop]])
-                seen += np.bincount(lookup.find(w.hash)[1], minlength=len(seen))
-                total += len(w.hash)
-                at = stop
+            for _, raw in portions(batch.column(0).to_pylist()):
+                gram, _ = grams_of(words_of(raw))
+                seen += np.bincount(lookup.find(gram)[1], minlength=len(seen))
+                total += len(gram)
         some = np.flatnonzero(seen)
-        yield pa.RecordBatch.from_arrays([pa.array([*lookup.keys[some].view(np.int64), None]), pa.array([*seen[some], total])], names=["word", "c"])
+        yield pa.RecordBatch.from_arrays([pa.array([*lookup.keys[some].view(np.int64), None]), pa.array([*seen[some], total])], names=["gram", "c"])
 
-    counts = docs.select(whole_text(text).alias("text")).mapInArrow(run, "word long, c long").groupBy("word").agg(F.sum("c")).collect()
-    total = max(1, sum(c for h, c in counts if h is None))
-    return {h % (1 << 64): c / total for h, c in counts if h is not None}
+    # as many rows as the block has n-grams
+    counts = docs.select(whole_text(text).alias("text")).mapInArrow(run, "gram long, c long").groupBy("gram").agg(F.sum("c")).collect()
+    return {h % (1 << 64): c for h, c in counts if h is not None}, sum(c for h, c in counts if h is None)
 
 
-def matchers(docs: DataFrame, items: DataFrame, item_key: str = "item_id", item_text: str = "text", text: str = "text", block_words: int = BLOCK_WORDS) -> Iterator[Matcher]:
-    for rows in item_blocks(items, item_key, item_text, block_words):
+def matchers(docs: DataFrame, items: DataFrame, item_key: str = "item_id", item_text: str = "text", text: str = "text", block_bytes: int = BLOCK_BYTES) -> Iterator[Matcher]:
+    for rows in item_blocks(items, item_key, item_text, block_bytes):
         texts = [r[1] for r in rows]
-        yield Matcher([r[0] for r in rows], texts, word_rates(docs, texts, text) if texts else None)
+        yield Matcher([r[0] for r in rows], texts, *(gram_counts(docs, texts, text) if texts else ()))
 
 
-def passages(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", block_words: int = BLOCK_WORDS) -> DataFrame:
+def passages(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """One row a passage of ``docs`` that copies a test item: ``key``, ``item_key``, ``score``, ``start``, ``end``."""
     kind, item_kind = docs.schema[key].dataType, items.schema[item_key].dataType
     schema = f"`{key}` {kind.simpleString()}, `{item_key}` {item_kind.simpleString()}, score double, start int, end int"
     out = docs.sparkSession.createDataFrame([], schema)
-    for matcher in matchers(docs, items, item_key, item_text, text, block_words):
+    for matcher in matchers(docs, items, item_key, item_text, text, block_bytes):
         shared = share(docs.sparkSession, matcher)
 
         def run(batches, shared=shared):
@@ -312,9 +385,9 @@ def _best(shared):
     return best
 
 
-def leak_score(docs: DataFrame, items: DataFrame, name: str, text: str = "text", item_key: str = "item_id", item_text: str = "text", block_words: int = BLOCK_WORDS) -> DataFrame:
+def leak_score(docs: DataFrame, items: DataFrame, name: str, text: str = "text", item_key: str = "item_id", item_text: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """``docs`` with a column ``name``: the best score of a passage of the row (0 without one). Nothing is shuffled."""
-    columns = [_best(share(docs.sparkSession, m))(whole_text(text)) for m in matchers(docs, items, item_key, item_text, text, block_words)]
+    columns = [_best(share(docs.sparkSession, m))(whole_text(text)) for m in matchers(docs, items, item_key, item_text, text, block_bytes)]
     return docs.withColumn(name, columns[0] if len(columns) == 1 else F.greatest(*columns))
 
 

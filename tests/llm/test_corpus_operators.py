@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+import re
 import time
 import zlib
 
@@ -277,8 +278,8 @@ def test_edited_passages_are_found(spark):
     planted.add((None, 3))
     x = spark.createDataFrame([(*d, 0.5) for d in docs], "doc_id long, text string, score double")
     y = spark.createDataFrame(items, "item_id long, text string")
-    for block in (10**6, 400):
-        found = decontaminate.passages(x, y, block_words=block).collect()
+    for block in (10**6, 2500):
+        found = decontaminate.passages(x, y, block_bytes=block).collect()
         assert {(f.doc_id, f.item_id) for f in found} == planted
     leak = decontaminate.leak_score(x, y, "leak").where("leak > 0")
     assert {r.doc_id for r in leak.collect()} == {d for d, _ in planted}
@@ -287,6 +288,60 @@ def test_edited_passages_are_found(spark):
     assert (one.score, one.start, one.end) == (1.0, 0, len(items[3][1]))
 
 
+def passages_by_hand(docs, items):
+    """Every (document, item) whose best local alignment reaches the least score, from all words of both."""
+    words = lambda t: [zlib.crc32(w.encode()) for w in re.findall(r"[0-9a-z\x80-\U0010ffff]+", t.lower())]
+    out = set()
+    for i, text in items:
+        a = np.array(words(text), np.uint64)
+        for d, body in docs:
+            b = np.array(words(body), np.uint64)
+            if len(a) >= 3 and len(b) and len(np.intersect1d(a, b)) >= len(a) / 2:
+                if decontaminate.align([a], [b])[0][0] >= 0.5 * len(a):
+                    out.add((d, i))
+    return out
+
+
+def test_decontamination_query_equals_brute_force(spark):
+    """All documents against all items, every word of both aligned, without seeds, windows or blocks."""
+    docs = [(r[0], r[1] or "") for r in table(spark, SMALL, "documents").select("doc_id", "text").collect()]
+    items = [(r[0], r[1] or "") for r in table(spark, SMALL, "benchmark").select("item_id", "text").collect()]
+    got = {(r.doc_id, r.item_id) for r in decontaminate.op3_decontamination(spark, SMALL).collect()}
+    want = passages_by_hand(docs, items)
+    assert got <= want and len(got) >= 0.98 * len(want) > 0
+
+
+def test_passages_beside_each_other_are_all_found():
+    r = random.Random(12)
+    item = " ".join(f"w{r.randrange(10**6)}" for _ in range(20))
+    m = decontaminate.Matcher([1], [item])
+    pair = f"{item} {item}"
+    assert [(x[1], x[3], x[4]) for x in m.match([pair])] == [(0, 0, len(item)), (0, len(item) + 1, len(pair))]
+    noisy = f"é {item} {' '.join(item.split()[5:9])} x {item}"
+    assert len(m.match([noisy])) == 2 and noisy[m.match([noisy])[0][3] : m.match([noisy])[0][4]] == item
+
+
+def test_periodic_texts_take_little_memory():
+    import subprocess
+    import sys
+
+    code = """
+import resource, time
+from driftks.llm import decontaminate
+m = decontaminate.Matcher([1], ["same " * 20])
+began = time.perf_counter()
+found = m.match(["same " * 180_000, *["some other words"] * 255, "x " * 3_000_000])
+assert 8900 <= len(found) <= 9000, len(found)
+print(time.perf_counter() - began, resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024)
+import driftks.plans.shipping
+from pyspark import cloudpickle
+assert len(cloudpickle.dumps(decontaminate.Matcher([1], ["a b c d e f g h"]))) < 1_000_000
+"""
+    said = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, check=True, timeout=120).stdout
+    seconds, mb = map(float, said.split())
+    assert seconds < 30 and mb < 900
+
+
 def test_decontamination_query_finds_whole_items(spark):
     docs = table(spark, SMALL, "documents").select("doc_id", "text").collect()
     items = table(spark, SMALL, "benchmark").collect()
