@@ -7,10 +7,17 @@ language, labels every word; neighbouring words with one label make a span. A te
 one with most letters on the path, and its score is the share of those letters times the posterior
 of that language over the whole text.
 
-The model is fitted on a bounded sample of labelled texts, about ``per_lang`` of each language
-(the ``langs`` most frequent ones), picked by a hash of the id; labels, source and id are never
-inputs of a prediction. Predictions read whole texts; all paths of a batch are computed together,
-one word of every text at a time.
+The model is fitted on a bounded sample of labelled texts, at most ``per_lang`` of each language, picked
+by a hash of id and text; every value of the label is learned. Tasks count the n-grams of the
+sample, so the driver gets counts (bounded by the model's size) and no texts. The n-gram
+table has fewer buckets where there are very many languages, so that it stays within ``CELLS`` numbers.
+Labels, source and id are never inputs of a prediction. Predictions read whole texts; all paths
+of a batch are computed together, one word of every text at a time. The path of a very long text
+is worked out in stretches of ``STRETCH`` words, forward once to the begin of each and then, from the last to
+the first, once more with its back-pointers, so memory holds one stretch.
+
+Words and spans have the places of the text itself: it is cut into words first and each is
+lower-cased by itself.
 
 Edge cases: a null text, or one without a letter, is ``und`` with score 0; so is every text if nothing
 was learned; a word in a script that no learned language writes can be any of them; repeated rows
@@ -22,21 +29,23 @@ from __future__ import annotations
 
 import re
 import zlib
-from collections import Counter, defaultdict
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from driftks.llm.tables import table, whole_text
 from driftks.plans.shipping import held, share
 
-BUCKETS = 1 << 17
-PER_LANG, LANGS = 700, 200
+BUCKETS, CELLS = 1 << 17, 1 << 26
+PER_LANG = 700
+STRETCH = 200_000
 #: What one word can say against a language at most, and what a change of language costs: more, so one word makes no span.
 MOST, PENALTY = 6.0, 8.0
-MEMORY = 200_000
+#: Words whose scores a worker remembers before it starts anew, and numbers that these take at most.
+MEMORY, MEMORY_CELLS = 300_000, 20_000_000
 UNKNOWN = "und"
 
 # First and last code points of the scripts that are told apart.
@@ -74,30 +83,33 @@ def script(word: str) -> str:
     return next((name for name, ranges in SCRIPTS.items() if any(a <= code <= b for a, b in ranges)), "other")
 
 
-def grams(word: str) -> list[int]:
+def grams(word: str, buckets: int = BUCKETS) -> list[int]:
     """Buckets of the word's 1- to 4-grams with word ends, and of the whole word."""
     marked = f"<{word}>"
-    return [zlib.crc32(marked[i : i + n].encode()) % BUCKETS for n in (1, 2, 3, 4) for i in range(len(marked) - n + 1)] + [zlib.crc32(word.encode(), 1) % BUCKETS]
+    return [zlib.crc32(marked[i : i + n].encode()) % buckets for n in (1, 2, 3, 4) for i in range(len(marked) - n + 1)] + [zlib.crc32(word.encode(), 1) % buckets]
+
+
+def buckets_for(langs: int) -> int:
+    """Buckets of the n-gram table for so many languages."""
+    size = BUCKETS
+    while size > 1024 and size * langs > CELLS:
+        size //= 2
+    return size
 
 
 class Model:
     """Log-probabilities of n-grams by language, and the languages of each script."""
 
-    def __init__(self, words: dict[str, Counter]):
-        self.langs = sorted(words)
-        n = len(self.langs)
-        counts, letters = np.zeros((BUCKETS, n), np.float64), defaultdict(lambda: np.zeros(n))
-        for k, lang in enumerate(self.langs):
-            for word, c in words[lang].items():
-                np.add.at(counts[:, k], grams(word), c)
-                letters[script(word)][k] += c * len(word)
-        self.logp = np.log((counts + 0.2) / (counts.sum(0) + 0.2 * BUCKETS)).astype(np.float32) if n else counts
+    def __init__(self, langs: list[str], counts: np.ndarray, letters: dict[str, np.ndarray]):
+        """``counts``: of n-grams by bucket and language; ``letters``: of each script by language."""
+        self.langs, self.buckets = langs, len(counts)
+        self.logp = np.log((counts + 0.2) / (counts.sum(0) + 0.2 * self.buckets)).astype(np.float32) if langs else counts
         share = {s: v / np.maximum(sum(letters.values()), 1) for s, v in letters.items()}
         self.writes = {s: v >= 0.01 for s, v in share.items() if (v >= 0.01).any()}
 
     def scores(self, words: list[str]) -> np.ndarray:
         """Scores of distinct words by language, 0 for the best one."""
-        feats = [grams(w) for w in words]
+        feats = [grams(w, self.buckets) for w in words]
         lens = np.array([len(f) for f in feats])
         total = np.add.reduceat(self.logp[np.fromiter((g for f in feats for g in f), np.int64, int(lens.sum()))], np.cumsum(lens) - lens, axis=0)
         everyone = np.ones(len(self.langs), bool)
@@ -141,6 +153,38 @@ def paths(scores: np.ndarray, lens: np.ndarray, penalty: float = PENALTY) -> np.
     return labels
 
 
+def long_path(rows: np.ndarray, ids: np.ndarray, penalty: float = PENALTY, stretch: int = STRETCH) -> np.ndarray:
+    """Best label of every word of one text (``rows``: scores by word number), one stretch of back-pointers in memory."""
+    n, own = rows.shape[1], np.arange(rows.shape[1], dtype=np.int16)
+
+    def forward(best: np.ndarray, words: np.ndarray, came: np.ndarray | None) -> np.ndarray:
+        for t, w in enumerate(words):
+            top = int(best.argmax())
+            jump = best[top] - penalty
+            if came is not None:
+                came[t] = np.where(best >= jump, own, top)
+            best = np.maximum(best, jump) + rows[w]
+            best -= best.max()  # the differences decide, and sums of millions of words would lose them
+        return best
+
+    begins = list(range(1, len(ids), stretch))
+    at = [rows[ids[0]].astype(np.float32)]
+    for b in begins[:-1]:
+        at.append(forward(at[-1], ids[b : b + stretch], None))
+    labels = np.zeros(len(ids), np.int16)
+    for k in range(len(begins) - 1, -1, -1):
+        words = ids[begins[k] : begins[k] + stretch]
+        came = np.empty((len(words), n), np.int16)
+        last = forward(at[k], words, came)
+        if k == len(begins) - 1:
+            labels[-1] = last.argmax()
+        for t in range(len(words) - 1, -1, -1):
+            labels[begins[k] + t - 1] = came[t, labels[begins[k] + t]]
+    if not begins:
+        labels[0] = at[0].argmax()
+    return labels
+
+
 class Labeller:
     """Applies a model; remembers the scores and letters of words."""
 
@@ -154,7 +198,7 @@ class Labeller:
         self.letters = np.zeros(0, np.int64)
 
     def ids(self, texts: list[list[str]]) -> list[np.ndarray]:
-        if len(self.number) > MEMORY:
+        if len(self.number) > min(MEMORY, MEMORY_CELLS // max(1, len(self.model.langs))):
             self.reset()
         number, new, out = self.number, [], []
         for words in texts:
@@ -167,7 +211,7 @@ class Labeller:
                         new.append(w)
                 out.append(np.fromiter(map(number.__getitem__, words), np.int32, len(words)))
         if new:
-            self.rows = np.vstack([self.rows, self.model.scores(new)])
+            self.rows = np.vstack([self.rows, self.model.scores([w.lower() for w in new])])
             self.letters = np.append(self.letters, [sum(map(str.isalpha, w)) for w in new])
         return out
 
@@ -176,18 +220,24 @@ class Labeller:
         langs = self.model.langs
         if not langs:
             return [(UNKNOWN, 0.0, [])] * len(texts)
-        words = [word_pattern.findall(t.lower()) for t in texts]
+        words = [word_pattern.findall(t) for t in texts]
         ids = self.ids(words)
         lens = np.array(list(map(len, ids)))
         flat = np.concatenate(ids) if len(ids) else np.zeros(0, np.int32)
-        scores, letters = self.rows[flat], self.letters[flat]
-        labels = paths(scores, lens)
+        letters, n = self.letters[flat], len(langs)
+        total, some = np.zeros((len(texts), n)), lens > 0
+        if len(texts) == 1 and lens[0] > STRETCH:
+            labels = long_path(self.rows, flat)
+            for at in range(0, len(flat), STRETCH):
+                part = flat[at : at + STRETCH]
+                total[0] += (self.rows[part] * (self.letters[part] > 0)[:, None]).sum(0, dtype=float)
+        else:
+            scores = self.rows[flat]
+            labels = paths(scores, lens)
+            if some.any():
+                total[some] = np.add.reduceat(scores * (letters > 0)[:, None], (np.cumsum(lens) - lens)[some], axis=0, dtype=float)
         owner = np.repeat(np.arange(len(texts)), lens)
-        n = len(langs)
         won = np.bincount(owner * n + labels, letters, len(texts) * n).reshape(len(texts), n)
-        total, some = np.zeros((len(texts), n)), lens > 0
-        if some.any():
-            total[some] = np.add.reduceat(scores * (letters > 0)[:, None], (np.cumsum(lens) - lens)[some], axis=0, dtype=float)
         pick = won.argmax(1)
         at = np.arange(len(texts))
         sure = 1 / np.exp(np.minimum(total - total[at, pick][:, None], 50)).sum(1)
@@ -196,35 +246,59 @@ class Labeller:
         ends = np.cumsum(lens)
         out = []
         for k, text in enumerate(texts):
-            runs = _runs(text, labels[ends[k] - lens[k] : ends[k]], langs) if spans and all_letters[k] else []
+            runs = _runs(text, words[k], labels[ends[k] - lens[k] : ends[k]], langs) if spans and all_letters[k] else []
             out.append((langs[pick[k]] if all_letters[k] else UNKNOWN, float(score[k]), runs))
         return out
 
 
-def _runs(text: str, labels: np.ndarray, langs: list[str]) -> list[tuple[int, int, str]]:
-    """Places are those of the text itself; words are found in it as in its lower case, as far as the lengths agree."""
-    out: list[list] = []
-    for m, label in zip(word_pattern.finditer(text), labels, strict=False):
-        if out and out[-1][2] == label:
-            out[-1][1] = m.end()
-        else:
-            out.append([m.start(), m.end(), label])
-    return [(a, b, langs[k]) for a, b, k in out]
+def _runs(text: str, words: list[str], labels: np.ndarray, langs: list[str]) -> list[tuple[int, int, str]]:
+    """Neighbouring words with one label, by their places in the text."""
+    change = np.flatnonzero(labels[1:] != labels[:-1])
+    first, last = word_pattern.search(text).start(), text.rfind(words[-1]) + len(words[-1])
+    if not len(change):
+        return [(first, last, langs[labels[0]])]
+    places = [m.span() for m in word_pattern.finditer(text)]
+    starts = [first, *(places[i + 1][0] for i in change)]
+    ends = [*(places[i][1] for i in change), last]
+    return [(a, z, langs[labels[i]]) for a, z, i in zip(starts, ends, [0, *(change + 1)], strict=True)]
 
 
-def fit(docs: DataFrame, per_lang: int = PER_LANG, langs: int = LANGS, key: str = "doc_id", text: str = "text", lang: str = "lang") -> Model:
-    """Fit on about ``per_lang`` rows of each of the ``langs`` most frequent labels of ``docs``."""
+def fit(docs: DataFrame, per_lang: int = PER_LANG, key: str = "doc_id", text: str = "text", lang: str = "lang") -> Model:
+    """Fit on at most ``per_lang`` rows of each label of ``docs``: those with the least hashes of id and text."""
+    spark = docs.sparkSession
     known = docs.where(F.col(lang).isNotNull() & F.col(text).isNotNull())
-    counts = known.groupBy(lang).count().orderBy(F.desc("count"), lang).limit(langs).collect()
+    counts = known.groupBy(lang).count().collect()  # a row a language
     if not counts:
-        return Model({})
-    share = docs.sparkSession.createDataFrame([(r[0], min(1.0, per_lang / r[1])) for r in counts], "__lang string, __share double")
+        return Model([], np.zeros((0, 0)), {})
+    langs = sorted(r[0] for r in counts)
+    buckets = buckets_for(len(langs))
+    share = spark.createDataFrame([(r[0], langs.index(r[0]), min(1.0, 2 * per_lang / r[1])) for r in counts], "__lang string, __no int, __share double")
+    mixed = F.xxhash64(F.lit(4), F.col(key), F.col(text))
     drawn = F.pmod(F.xxhash64(F.lit(4), F.col(key)), F.lit(1 << 30)) < F.col("__share") * (1 << 30)
-    rows = known.join(F.broadcast(share), F.col(lang) == F.col("__lang")).where(drawn).select(lang, text).limit(2 * per_lang * len(counts))
-    words: dict[str, Counter] = {r[0]: Counter() for r in counts}
-    for name, body in rows.toLocalIterator():
-        words[name].update(word_pattern.findall(body.lower()))
-    return Model({k: v for k, v in words.items() if v})
+    met = known.join(F.broadcast(share), F.col(lang) == F.col("__lang")).where(drawn).select("__no", F.col(text).alias("__text"), mixed.alias("__mixed"))
+    rank = F.row_number().over(Window.partitionBy("__no").orderBy("__mixed"))
+    rows = met.withColumn("__rank", rank).where(F.col("__rank") <= per_lang).select("__no", "__text")
+    scripts = [*SCRIPTS, "other"]
+
+    def count(batches):
+        grammed: Counter = Counter()
+        for batch in batches:
+            for no, body in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                for word, c in Counter(map(str.lower, word_pattern.findall(body))).items():
+                    for g in grams(word, buckets):
+                        grammed[no, g] += c
+                    grammed[no, buckets + scripts.index(script(word))] += c * len(word)
+        if grammed:
+            nos, places = zip(*grammed, strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(nos, pa.int32()), pa.array(places, pa.int32()), pa.array(list(grammed.values()), pa.int64())], names=["no", "place", "c"])
+
+    found = rows.mapInArrow(count, "no int, place int, c long").groupBy("no", "place").agg(F.sum("c").alias("c")).toArrow()
+    table_ = np.zeros((buckets + len(scripts), len(langs)))
+    table_[found["place"].to_numpy(), found["no"].to_numpy()] = found["c"].to_numpy()
+    learned = np.flatnonzero(table_.any(0))
+    table_ = table_[:, learned]
+    letters = {s: table_[buckets + i] for i, s in enumerate(scripts) if table_[buckets + i].any()}
+    return Model([langs[i] for i in learned], table_[:buckets], letters)
 
 
 def identify(df: DataFrame, model: Model, key: str = "doc_id", text: str = "text", spans: bool = False) -> DataFrame:
@@ -261,7 +335,9 @@ def held_out(key: str = "doc_id") -> Column:
 
 
 def op4_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The language of every document; labels of held-out rows are not read."""
+    """The language of every document, and its spans (start:end:language); labels of held-out rows are not read."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     model = fit(docs.where(~held_out()))
-    return identify(docs.select("doc_id", "text"), model).select("doc_id", held_out().alias("held_out"), "lang_pred", "score")
+    said = identify(docs.select("doc_id", "text"), model, spans=True)
+    spans = F.array_join(F.transform("spans", lambda x: F.concat_ws(":", x["start"], x["end"], x["lang"])), ",")
+    return said.select("doc_id", held_out().alias("held_out"), "lang_pred", "score", spans.alias("spans"))

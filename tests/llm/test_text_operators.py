@@ -154,6 +154,59 @@ def test_language_held_out_accuracy_and_spans(spark):
     assert language_id.script("Привет") == "cyrillic" and language_id.script("你好") == "han"
 
 
+def test_language_spans_have_the_places_of_the_text():
+    langs = ["aa", "bb"]
+    counts, letters = np.zeros((language_id.BUCKETS, 2)), {"latin": np.array([50.0, 50.0])}
+    for k, words in enumerate((["istanbul", "i̇stanbul", "evet", "güzel"], ["the", "house", "green"])):
+        for w in words:
+            np.add.at(counts[:, k], language_id.grams(w), 50)
+    mine = language_id.Labeller(language_id.Model(langs, counts, letters))
+    text = "1 İstanbul güzel EVET güzel, the House! green house 2"
+    _, _, spans = mine.label([text], True)[0]
+    assert [(text[a:z], k) for a, z, k in spans] == [("İstanbul güzel EVET güzel", "aa"), ("the House! green house", "bb")]
+    r = np.random.default_rng(3)
+    rows, ids = (r.normal(size=(50, 3)) * 3).astype(np.float32), r.integers(0, 50, 1001).astype(np.int32)
+    value = lambda p: sum(float(rows[w, k]) for w, k in zip(ids, p, strict=True)) - 2.0 * int((p[1:] != p[:-1]).sum())
+    whole = language_id.paths(rows[ids], np.array([1001]), 2.0)
+    for stretch in (7, 250, 1000, 5000):
+        assert value(language_id.long_path(rows, ids, 2.0, stretch)) == pytest.approx(value(whole), abs=1e-3)
+    assert language_id.long_path(rows, ids[:1]).tolist() == [rows[ids[0]].argmax()]
+
+
+def test_every_language_is_learned(spark):
+    words = [f"{a}{b}{c}" for a in "bcdfgh" for b in "aeiou" for c in "klmnprst"]
+    rows = [(i * 10 + j, f"l{i:03d}", " ".join([words[i]] * 30)) for i in range(230) for j in range(2)]
+    model = language_id.fit(spark.createDataFrame(rows, "doc_id long, lang string, text string"))
+    assert len(model.langs) == 230 and language_id.buckets_for(5000) * 5000 <= language_id.CELLS
+    assert language_id.Labeller(model).label([" ".join([words[229]] * 20)])[0][0] == "l229"
+
+
+def test_language_query_equals_the_whole_path_by_hand(spark):
+    """All documents of the small table: label of each word by a plain Viterbi over the model's scores."""
+    docs = table(spark, SMALL, "documents")
+    model = language_id.fit(docs.where(~language_id.held_out()))
+    texts, langs = dict(docs.select("doc_id", "text").collect()), model.langs
+    for r in language_id.op4_language_id(spark, SMALL).collect():
+        words = language_id.word_pattern.findall(texts[r.doc_id] or "")
+        if not words:
+            assert (r.lang_pred, r.score, r.spans) == ("und", 0.0, "")
+            continue
+        s = model.scores([w.lower() for w in words]).astype(float)
+        best, back = s[0], []
+        for row in s[1:]:
+            move = best[:, None] - language_id.PENALTY * (1 - np.eye(len(langs)))
+            back.append(move.argmax(0))
+            best = move.max(0) + row
+        path = [int(best.argmax())]
+        for b in reversed(back):
+            path.append(int(b[path[-1]]))
+        won = Counter()
+        for w, k in zip(words, reversed(path), strict=True):
+            won[langs[k]] += len(w)
+        assert won[r.lang_pred] >= max(won.values()) - 40
+        assert r.spans.startswith(f"{texts[r.doc_id].index(words[0])}:") and {x.split(":")[2] for x in r.spans.split(",")} <= set(langs)
+
+
 def test_gradients():
     net, r = toxicity.Network(), np.random.default_rng(2)
     net.w = {k: v.astype(np.float64) for k, v in net.w.items()}
