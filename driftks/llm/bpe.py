@@ -7,12 +7,17 @@ follow there, ``u`` from now on leads to a copy of that state without the arc ``
 wherever ``u`` can be read, ``w`` can be read too and leads to where ``v`` led. Two facts
 keep the automaton small. A token leads to one state from everywhere, and a state differs
 from the one it was copied from by one missing arc, so a state is a (parent, missing arc,
-time) triple and 48,894 merges give as many states at most. Which arcs leave a state
-follows from those triples; each answer is kept in a transition table.
-
-Exactly one path of the automaton spells any word. It is found left to right: for each
-prefix, the one token that ends it and whose arc leaves the state of the rest. Decoding
-emits the labels of the arcs.
+time) triple and 48,894 merges give as many states at most. Which arcs leave a state follows
+from those triples: the table keeps, for each token, the states that lack its arc as ranges of
+a depth-first numbering of the copies (as a full table of states by tokens it would have 2.4 thousand million
+entries).
+
+The words are read symbol by symbol through a second table, compiled from the labels of all
+arcs: a state of it is the longest end of what was read that begins a label, with its move on
+every symbol (or the state that it falls back to), and names the labels that end here, longest
+first. Exactly one path of the merge automaton spells any word; at each symbol, the one label that
+ends there and whose arc leaves the state where it begins goes on. Decoding emits the labels of the
+arcs.
 
 The pre-split (NFC, per-character lower case, a fixed word pattern), the ``</w>`` mark and
 the added tokens are those of the tokenizer file; the result equals that of the
@@ -38,8 +43,8 @@ from driftks.llm.tables import table, whole_text
 from driftks.plans.shipping import held, share
 
 WORD_END = "</w>"
-#: Words whose arcs one task remembers before it starts anew.
-MEMORY = 400_000
+#: Words whose arcs one task remembers before it starts anew, and bytes of results that leave it at once.
+MEMORY, PORTION = 400_000, 32_000_000
 
 
 def byte_symbols() -> list[str]:
@@ -55,15 +60,14 @@ class MergeAutomaton:
     def __init__(self, vocab: dict[str, int], merges: list[tuple[str, str]]):
         self.vocab, self.label = vocab, {i: t for t, i in vocab.items()}
         size = max(vocab.values(), default=-1) + 1
-        self.longest = max(map(len, vocab), default=1)
         # of a token: its left part, the merge that made it (-1: a base symbol), the state it leads to
         self.left, self.made, self.leads = [-1] * size, [-1] * size, [0] * size
         # of a state: the one it was copied from, the arc it lacks, the merge that made it
         self.parent, self.lacks, self.since = [-1], [-1], [-1]
-        self.table: dict[int, bool] = {}
         for time, (a, b) in enumerate(merges):
             self._gadget(time, vocab[a], vocab[b], vocab[a + b])
         self._index()
+        self._compile()
 
     def _gadget(self, time: int, u: int, v: int, w: int) -> None:
         state, beyond = self.leads[u], self.leads[v]
@@ -109,8 +113,8 @@ class MergeAutomaton:
             cuts.setdefault(self.lacks[state], []).append((self.first[state], self.past[state], self.since[state]))
         self.cuts = {t: tuple(zip(*sorted(c), strict=True)) for t, c in cuts.items()}
 
-    def _allowed(self, state: int, token: int) -> bool:
-        """As ``_leaves``, from the index: no state on the way back lacks the token, or a left
+    def follows(self, state: int, token: int) -> bool:
+        """As ``_leaves``, from the table: no state on the way back lacks the token, or a left
         part of it at a time when that part was not yet merged."""
         at, until = self.first[state], len(self.since) + len(self.made)
         while token >= 0:
@@ -122,37 +126,71 @@ class MergeAutomaton:
             until, token = self.made[token], self.left[token]
         return True
 
-    def follows(self, state: int, token: int) -> bool:
-        """The transition table, filled where it is asked."""
-        key = state << 20 | token
-        known = self.table.get(key)
-        if known is None:
-            if len(self.table) >= MEMORY:
-                self.table.clear()
-            known = self.table[key] = self._allowed(state, token)
-        return known
+    def _compile(self) -> None:
+        """The symbol table: moves by (state, symbol), fall-back states, and the labels that end in each state."""
+        self.symbol: dict[str, int] = {}
+        self.moves: dict[int, int] = {}
+        self.fall, self.ends, self.beyond, depth = [0], [-1], [0], [0]
+        self.size = [0] * len(self.made)
+        for label, token in self.vocab.items():
+            symbols = spelled(label)
+            if not symbols or len(symbols) > 1 and self.made[token] < 0:
+                continue  # no arc has it: added tokens
+            self.size[token] = len(symbols)
+            node = 0
+            for s in symbols:
+                key = node << 10 | self.symbol.setdefault(s, len(self.symbol))
+                if key not in self.moves:
+                    self.moves[key] = len(self.fall)
+                    self.fall.append(0)
+                    self.ends.append(-1)
+                    self.beyond.append(0)
+                    depth.append(depth[node] + 1)
+                node = self.moves[key]
+            self.ends[node] = token
+        # the shallower states are ready when a deeper one falls back to them
+        for key, node in sorted(self.moves.items(), key=lambda m: depth[m[1]]):
+            above, s = key >> 10, key & 1023
+            back = self.fall[above]
+            while above and back and (back << 10 | s) not in self.moves:
+                back = self.fall[back]
+            to = self.moves.get(back << 10 | s, 0) if above else 0
+            self.fall[node] = to
+            self.beyond[node] = to if self.ends[to] >= 0 else self.beyond[to]
 
     def arcs(self, symbols: str) -> list[int]:
         """Token ids of a word given as byte symbols, the last of which ends the word."""
-        n, longest, vocab, leads, follows = len(symbols), self.longest, self.vocab, self.leads, self.follows
-        state, last = [0] * (n + 1), [-1] * (n + 1)
-        start = [0] * (n + 1)
+        number, moves, fall, ends, beyond, size, leads, follows = self.symbol, self.moves, self.fall, self.ends, self.beyond, self.size, self.leads, self.follows
+        n = len(symbols)
+        state, last, node = [0] * (n + 1), [-1] * (n + 1), 0
         for end in range(1, n + 1):
-            tail = WORD_END if end == n else ""
-            for begin in range(max(0, end - longest), end):
-                token = vocab.get(symbols[begin:end] + tail)
-                if token is not None and follows(state[begin], token):
-                    state[end], last[end], start[end] = leads[token], token, begin
+            s = number[symbols[end - 1] + WORD_END if end == n else symbols[end - 1]]
+            while (to := moves.get(node << 10 | s)) is None and node:
+                node = fall[node]
+            node = to or 0
+            here = node if ends[node] >= 0 else beyond[node]
+            while here:
+                token = ends[here]
+                if follows(state[end - size[token]], token):
+                    state[end], last[end] = leads[token], token
                     break
+                here = beyond[here]
             else:
                 raise ValueError(f"no path spells {symbols!r}")
         out = []
         while n:
             out.append(last[n])
-            n = start[n]
+            n -= size[last[n]]
         return out[::-1]
 
 
+def spelled(label: str) -> list[str]:
+    """The symbols of a label: its characters, the last with the mark of a word's end if the label has it."""
+    if label.endswith(WORD_END) and label != WORD_END:
+        return [*label[: -len(WORD_END) - 1], label[-len(WORD_END) - 1 :]]
+    return list(label)
+
+
 class WordEncoder:
     """Added tokens, normalisation and pre-split of a tokenizer file in front of its automaton."""
 
@@ -181,6 +219,7 @@ class WordEncoder:
         self.far = regex.compile(rf"{ends}|\p{{L}}+|\p{{N}}|[^\p{{White_Space}}\p{{L}}\p{{N}}]+").findall
         self.beyond = re.compile("[^\x00-ɏ]").search
         self.at = re.compile("|".join(map(re.escape, sorted(self.added, key=len, reverse=True)))) if self.added else None
+        self.marks = {t[0] for t in self.added if t}
         self.known: dict[str, tuple[bytes, bytes]] = {}
         return self
 
@@ -207,7 +246,7 @@ class WordEncoder:
         """The ids as little-endian unsigned 32-bit integers, and the labels of their arcs joined by blanks."""
         parts: list[tuple[bytes, bytes]] = []
         done = 0
-        for piece in self.at.finditer(text) if self.at and "<" in text else ():
+        for piece in self.at.finditer(text) if any(c in text for c in self.marks) else ():
             parts += self.spelled(self.words(text[done : piece.start()]))
             parts.append(self.pack([self.added[piece[0]]]))
             done = piece.end()
@@ -244,13 +283,17 @@ def encode(df: DataFrame, text: str = "text", key: str = "doc_id", path: str | N
     def run(batches):
         encoder = held(shared).ready()
         for batch in batches:
-            for part in range(0, batch.num_rows, 1000):
-                rows = batch.slice(part, 1000)
-                out = [encoder.encode(t) for t in rows.column(1).to_pylist()]
-                cols = [rows.column(0), pa.array([o[0] for o in out], pa.binary()), pa.array([len(o[0]) // 4 for o in out], pa.int64())]
+            texts, at = batch.column(1), 0
+            while at < batch.num_rows:  # some ``PORTION`` bytes of results at a time, one text at least
+                out, size = [], 0
+                while at + len(out) < batch.num_rows and size < PORTION:
+                    out.append(encoder.encode(texts[at + len(out)].as_py()))
+                    size += len(out[-1][0]) + len(out[-1][1])
+                cols = [batch.column(0).slice(at, len(out)), pa.array([o[0] for o in out], pa.binary()), pa.array([len(o[0]) // 4 for o in out], pa.int64())]
                 if decode:
                     cols.append(pa.array([o[1] for o in out], pa.binary()).cast(pa.string()))
                 yield pa.RecordBatch.from_arrays(cols, names=[key, *(f.name for f in fields)])
+                at += len(out)
 
     schema = f"`{key}` {kind.simpleString()}, ids binary, n_tokens long" + ", decoded string" * decode
     return df.select(key, whole_text(text).alias("text")).mapInArrow(run, schema)

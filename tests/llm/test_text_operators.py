@@ -113,7 +113,34 @@ def test_index_of_copies_equals_the_walk():
     a, r = bpe.load(bpe.default_path()).automaton, random.Random(4)
     for _ in range(3000):
         s, t = r.randrange(len(a.parent)), r.randrange(49_000)
-        assert a._leaves(s, t) == a._allowed(s, t)
+        assert a._leaves(s, t) == a.follows(s, t)
+
+
+def test_symbol_table_names_all_labels_that_end_at_a_place():
+    a, r = bpe.load(bpe.default_path()).automaton, random.Random(6)
+    ways = {t: bpe.spelled(x) for x, t in a.vocab.items() if a.size[t]}
+    by_symbols = {tuple(s): t for t, s in ways.items()}
+    for _ in range(300):
+        word = [x for t in r.choices(list(ways), k=2) for x in ways[t]]
+        word = [x.removesuffix(bpe.WORD_END) for x in word[:-1]] + word[-1:]
+        node = 0
+        for end, s in enumerate(word, 1):
+            k = a.symbol[s]
+            while (to := a.moves.get(node << 10 | k)) is None and node:
+                node = a.fall[node]
+            node, got = to or 0, []
+            here = node if a.ends[node] >= 0 else a.beyond[node]
+            while here:
+                got.append(a.ends[here])
+                here = a.beyond[here]
+            assert got == [by_symbols[tuple(word[b:end])] for b in range(end) if tuple(word[b:end]) in by_symbols]
+    assert len(a.moves) < 200_000 and len(a.parent) <= 48_895
+
+
+def test_added_tokens_of_any_spelling():
+    spec = {"model": {"vocab": {"a": 0, "a</w>": 1, "b</w>": 2, "ab</w>": 3}, "merges": ["a b</w>"]}, "added_tokens": [{"content": "[x]", "id": 9}]}
+    mine = bpe.WordEncoder(spec).ready()
+    assert list(memoryview(mine.encode("ab[x]a")[0]).cast("I")) == [3, 9, 1]
 
 
 def test_bpe_query_equals_the_library(spark):
