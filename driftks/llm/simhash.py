@@ -14,7 +14,9 @@ half of ``bits`` (rounded up) of itself. Two that name the same point, one of th
 half way between them; so every member is linked to the least near member of each point it
 names and no pairs are listed. Both ways give exactly the same components.
 
-Only distinct fingerprints are indexed, so exact copies cost one entry whatever their number.
+Only distinct fingerprints are indexed, so exact copies cost one entry whatever their number; entries
+are counted before they are joined, and a fingerprint or component that holds very many rows gets
+its answer by broadcast instead of gathering them in one task.
 
 Edge cases: a null or empty text, or one without words, has fingerprint zero and links like any
 other; with fewer words than a shingle, the whole sequence is the one shingle; repeated rows
@@ -29,10 +31,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import Window
 
 from driftks.llm.components import components
-from driftks.llm.tables import settled, table, whole_text
+from driftks.llm.tables import joined_unique, settled, table, whole_text
 
 SEED = 42
 
@@ -104,8 +105,9 @@ def links(fps: DataFrame, bits: int = 2, crowd: int = 64) -> DataFrame:
     """Pairs (a, b) of distinct fingerprints whose components are those of all linked pairs."""
     if not 1 <= bits <= 3:
         raise ValueError("between 1 and 3 differing bits")
-    entry = Window.partitionBy("slot", "part")
-    shared = settled(variants(fps, bits).withColumn("n", F.count("*").over(entry)).where("n > 1"))
+    each = variants(fps, bits)
+    counts = each.groupBy("slot", "part").agg(F.count("*").alias("n")).where("n > 1")
+    shared = settled(each.join(counts, ["slot", "part"]))
     thin = shared.where(F.col("n") <= crowd).drop("n")
     other = thin.select("slot", "part", F.col("fp").alias("b"))
     pairs = thin.withColumnRenamed("fp", "a").join(other, ["slot", "part"]).where((F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= bits)).select("a", "b")
@@ -121,10 +123,10 @@ def near_duplicates(df: DataFrame, key: str = "doc_id", text: str = "text", shin
     rows = settled(fingerprints(df, key, text, shingle))
     per = settled(rows.groupBy("fp").agg(F.min(key).alias("least")))
     roots = components(links(per.select("fp"), bits))
-    joined = per.join(roots, per["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+    joined = settled(per.join(roots, per["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root")))
     of_root = joined.groupBy("root").agg(F.min("least").alias("component_id"))
-    of_fp = joined.join(of_root, "root").select("fp", "component_id")
-    return rows.join(of_fp, "fp").select(key, "fp", "component_id")
+    of_fp = joined_unique(joined, of_root, ["root"]).select("fp", "component_id")
+    return joined_unique(rows, of_fp, ["fp"]).select(key, "fp", "component_id")
 
 
 def op7_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,15 +2,19 @@
 
 Only headers (id, payload digest, payload size) are shuffled to find equal payloads: the largest
 id of each payload of ``least`` bytes or more stays a response, the others become revisits that
-refer to it. The maximum is pre-aggregated, so a payload with very many copies sends one row
-per task. The archives are then written with fresh headers, responses with their payload and
+refer to it. The maximum is pre-aggregated, and a payload that very many rows share gets its
+original by broadcast. Revisits are then counted: up to ``FEW`` of their headers go to the payloads by
+broadcast, so no payload moves; only beyond does a shuffle by (id, digest) bring both together. The
+archives are written with fresh headers, responses with their payload and
 revisits without, by Spark's text writer: a record is one row, and the row separator is the
-CRLF CRLF that ends a WARC record, so each part file is a valid archive (gzip), is committed like
-any Spark output, and may live in any store that Spark writes.
+CRLF CRLF that ends a WARC record, so each part file is a valid archive (gzip, one member), is committed
+like any Spark output, and may live in any store that Spark writes.
 
-Reading takes whole part files (their size is bounded by ``per_file`` records), walks the records
-by their Content-Length, recomputes the digest of every payload that is there and joins the
-revisit headers, by payload digest, to the original responses they need.
+Part files are bounded in bytes: payloads above ``LARGE`` bytes go to files of their own, so many to
+a file as fit ``PART`` bytes (one at least); of others, ``per_file`` records make a file. Reading inflates a part
+as a stream and holds one record, walks the records by their Content-Length, recomputes the
+digest of every payload that is there and joins the revisit headers, by payload digest, to the
+original responses they need.
 
 Edge cases: a null payload is an empty one; a null URL gives no target URI; a null id never
 replaces another as the response, and its record is told apart by its random record id only;
@@ -23,16 +27,19 @@ from __future__ import annotations
 
 import gzip
 import hashlib
+import io
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from driftks.llm.tables import shared_folder, table, whole_text
+from driftks.llm.tables import joined_unique, remove, settled, shared_folder, table, whole_text
 
 CRLF = "\r\n"
 #: Payloads below this many bytes are never replaced by a revisit.
 LEAST = 1000
+#: Revisit headers (some 80 bytes each) that are broadcast at most; bytes of a large payload, and of a part before compression.
+FEW, LARGE, PART = 200_000, 1 << 17, 1 << 28
 # Fixed value: the profile URI that the WARC 1.1 standard gives revisits with identical payloads.
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 HTTP = CRLF.join(["HTTP/1.1 200 OK", "Content-Type: text/html; charset=utf-8", "", ""])
@@ -46,9 +53,9 @@ def resolve(pages: DataFrame, key: str = "page_id", url: str = "url", body: str
     The decision needs no payload: rows of some 60 bytes are grouped by payload digest.
     """
     payload = whole_text(body)
-    heads = pages.select(F.col(key), F.sha1(F.encode(payload, "UTF-8")).alias("digest"), F.octet_length(payload).cast("long").alias("bytes"))
+    heads = settled(pages.select(F.col(key), F.sha1(F.encode(payload, "UTF-8")).alias("digest"), F.octet_length(payload).cast("long").alias("bytes")))
     kept = heads.where(F.col("bytes") >= least).groupBy("digest", "bytes").agg(F.max(key).alias("original"))
-    joined = heads.join(kept, ["digest", "bytes"], "left")
+    joined = joined_unique(heads, kept, ["digest", "bytes"])
     return joined.select(key, "digest", "bytes", F.when(F.col("original") != F.col(key), F.col("original")).alias("refers_to"))
 
 
@@ -76,34 +83,39 @@ def _record(key: Column, url: Column, payload: Column, digest: Column, size: Col
     return F.concat(head, block)
 
 
-def write(pages: DataFrame, folder: str, key: str = "page_id", url: str = "url", body: str = "html", least: int = LEAST, per_file: int = 2000) -> None:
+def write(pages: DataFrame, folder: str, key: str = "page_id", url: str = "url", body: str = "html", least: int = LEAST, per_file: int = 2000, few: int = FEW, large: int = LARGE) -> None:
     """Write the deduplicated archives of ``pages`` below ``folder`` (part files, gzip)."""
     rows = pages.select(F.col(key).alias("k"), F.col(url).alias("u"), F.col(body).alias("b"))
-    heads = resolve(rows, "k", "u", "b", least)
+    heads = settled(resolve(rows, "k", "u", "b", least))
     revisits = heads.where("refers_to is not null").select(F.col("k").alias("rk"), F.col("digest").alias("rd"), "refers_to").distinct()
+    count, most = revisits.count(), heads.agg(F.max("bytes")).first()[0] or 0
     payload = whole_text("b")
     own = rows.withColumn("digest", F.sha1(F.encode(payload, "UTF-8"))).withColumn("bytes", F.octet_length(payload).cast("long"))
-    # only ids and digests of revisits meet the payloads; equal pages with one id have one response among them
-    joined = own.join(revisits, (F.col("k") == F.col("rk")) & (F.col("digest") == F.col("rd")), "left")
+    # equal pages with one id have one response among them
+    joined = own.join(F.broadcast(revisits) if count <= few else revisits, (F.col("k") == F.col("rk")) & (F.col("digest") == F.col("rd")), "left")
     record = _record(F.col("k"), F.col("u"), payload, F.col("digest"), F.col("bytes"), F.col("refers_to"))
-    joined.select(record.alias("value")).write.option("lineSep", CRLF * 2).option("compression", "gzip").option("maxRecordsPerFile", per_file).text(folder)
-
-
-def records(archive: bytes):
-    """Header dictionary and block of each record of an uncompressed archive."""
-    at = 0
-    while at < len(archive):
-        stop = archive.index(b"\r\n\r\n", at)
-        lines = archive[at:stop].decode().split(CRLF)
-        if not lines[0].startswith("WARC/"):
-            raise ValueError(f"no record begins at byte {at}")
-        head = dict(x.split(": ", 1) for x in lines[1:])
-        begin = stop + 4
-        end = begin + int(head["Content-Length"])
-        if archive[end : end + 4] != b"\r\n\r\n":
-            raise ValueError(f"the record at byte {at} does not end where it says")
-        yield head, archive[begin:end]
-        at = end + 4
+
+    def put(some: DataFrame, name: str, records: int) -> None:
+        some.select(record.alias("value")).write.option("lineSep", CRLF * 2).option("compression", "gzip").option("maxRecordsPerFile", records).text(f"{folder}/{name}")
+
+    put(joined.where(F.col("bytes") <= large), "pages", per_file)
+    if most > large:
+        put(joined.where(F.col("bytes") > large), "large-pages", max(1, PART // most))
+
+
+def records(archive):
+    """Header dictionary and block of each record of an uncompressed archive, a binary stream; one record is in memory."""
+    while first := archive.readline():
+        if not first.startswith(b"WARC/"):
+            raise ValueError(f"no record begins with {first[:40]!r}")
+        head = {}
+        while (line := archive.readline()) not in (b"\r\n", b""):
+            name, _, value = line.decode().rstrip(CRLF).partition(": ")
+            head[name] = value
+        block = archive.read(int(head["Content-Length"]))
+        if archive.read(4) != b"\r\n\r\n":
+            raise ValueError(f"record {head.get('WARC-Record-ID')} does not end where it says")
+        yield head, block
 
 
 def _page(name: str | None) -> int | None:
@@ -119,7 +131,7 @@ def read_headers(spark: SparkSession, folder: str) -> DataFrame:
         for batch in batches:
             for path, content in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 rows = []
-                for head, block in records(gzip.decompress(content.as_buffer())):
+                for head, block in records(io.BufferedReader(gzip.GzipFile(fileobj=pa.BufferReader(content.as_buffer())))):
                     body = block[block.index(b"\r\n\r\n") + 4 :]
                     there = head["WARC-Type"] == "response"
                     rows.append((
@@ -129,7 +141,7 @@ def read_headers(spark: SparkSession, folder: str) -> DataFrame:
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64() if k in (0, 3, 5, 7) else pa.string()) for k, c in enumerate(zip(*rows, strict=True))], names=names)
 
-    files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(folder).select("path", "content")
+    files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").option("recursiveFileLookup", True).load(folder).select("path", "content")
     return files.mapInArrow(run, HEADERS)
 
 
@@ -138,9 +150,12 @@ def resolved(headers: DataFrame) -> DataFrame:
 
     A record whose stated digest and size are not those of its payload is told by ``intact`` = false.
     """
-    originals = headers.where("record_type = 'response'").groupBy(F.col("payload_digest").alias("d"), F.col("page_id").alias("o")).agg(F.max("payload_bytes").alias("n"))
-    out = headers.join(originals, (F.col("stated_digest") == F.col("d")) & (F.col("refers_to_id") == F.col("o")), "left")
-    digest, size = F.coalesce("payload_digest", "d"), F.coalesce("payload_bytes", "n")
+    originals = headers.where("record_type = 'response'").groupBy(F.col("payload_digest").alias("stated_digest"), F.col("page_id").alias("refers_to_id")).agg(F.max("payload_bytes").alias("n"))
+    responses = headers.where("refers_to_id is null").withColumn("n", F.lit(None).cast("long"))
+    revisits = settled(headers.where("refers_to_id is not null"))
+    out = joined_unique(revisits, originals, ["stated_digest", "refers_to_id"]).unionByName(responses)
+    digest = F.coalesce("payload_digest", F.when(F.col("n").isNotNull(), F.col("stated_digest")))
+    size = F.coalesce("payload_bytes", "n")
     return out.select("page_id", size.alias("payload_bytes"), digest.alias("payload_digest"), "record_type", F.col("refers_to_id").alias("refers_to"), "url", "file", F.coalesce((digest == F.col("stated_digest")) & (size == F.col("stated_bytes")), F.lit(False)).alias("intact"))
 
 
@@ -148,7 +163,9 @@ def op5_warc_revisits(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All pages written to deduplicated archives and read back."""
     folder = shared_folder(spark, "warc")
     write(table(spark, sf_dir, "pages"), folder)
-    return resolved(read_headers(spark, folder)).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "intact")
+    headers = settled(read_headers(spark, folder))
+    remove(spark, folder)  # what is asked for is in the headers
+    return resolved(headers).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "intact")
 
 
 OP5_SQL = f"""

@@ -8,7 +8,7 @@ def odd_documents(spark):
     long = "lorem ipsum dolor sit amet " * 20_000
     rows = [(1, "some plain words of a text\nand a second line of it", "en"), (1, "some plain words of a text\nand a second line of it", "en"), (2, None, None), (3, "", "en"), (None, "a text without an id, long enough to be a line", "en"), (4, long, "en"), (5, " \n\t", None), (6, "123 456", "xx")]
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
-    return df.withColumns({c: F.lit(-1) for c in ("score", "size", "spans", "fp", "ids", "line", "place", "root", "hash", "word")})
+    return df.withColumns({c: F.lit(-1) for c in ("score", "size", "spans", "fp", "ids", "line", "place", "root", "hash", "word", "lines", "kept", "n", "halves", "digest", "bytes", "refers_to", "row", "shard", "slot", "lang_pred", "label", "entry", "x", "fp_home", "value", "leaf", "part", "n_tokens", "decoded", "leak")})
 
 
 def keys(df, column="doc_id"):

@@ -5,6 +5,7 @@ import random
 import re
 import time
 import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -13,7 +14,7 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 from driftks.llm import components, decontaminate, line_dedup, near_copies, neighbors, sharding, simhash, warc
-from driftks.llm.tables import shared_folder, table
+from driftks.llm.tables import joined_unique, settled, shared_folder, table
 
 from ..conftest import same_rows
 from .helpers import ODD_KEYS, SMALL, keys, odd_documents
@@ -104,6 +105,27 @@ def test_warc_query(spark, duck):
     same_rows(warc.op5_warc_revisits(spark, "/root/testdata/sf0.01"), duck, warc.OP5_SQL)
 
 
+def test_large_payloads_and_many_revisits(spark):
+    rows = [(i, f"u{i}", "a" * 1500 if i % 3 else str(i) * 400_000) for i in range(30)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = []
+    for few in (0, 1000):
+        folder = shared_folder(spark, "warc-large")
+        warc.write(df, folder, per_file=4, few=few)
+        out = warc.resolved(warc.read_headers(spark, folder)).collect()
+        assert len(out) == 30 and all(r.intact for r in out) and len({r.file for r in out}) >= 5
+        got.append(sorted((r.page_id, r.record_type, r.refers_to, r.payload_bytes) for r in out))
+    assert got[0] == got[1] and sum(r[1] == "revisit" for r in got[0]) == 19
+
+
+def test_hot_keys_meet_by_broadcast(spark):
+    left = settled(spark.range(1000).select(F.when(F.col("id") < 900, F.lit(None if True else 0)).otherwise(F.col("id") % 7).alias("k"), "id").union(spark.range(500).select(F.lit(3), "id")))
+    right = spark.createDataFrame([(i, i * i) for i in range(6)], "k long, v long")
+    want = sorted(map(str, left.join(right, ["k"], "left").collect()))
+    assert sorted(map(str, joined_unique(left, right, ["k"], 10, 5).collect())) == want
+    assert sorted(map(str, joined_unique(left, right, ["k"]).collect())) == want
+
+
 def closure(ids, linked):
     root = {i: i for i in ids}
 
@@ -155,6 +177,12 @@ def test_simhash_query_equals_brute_force(spark):
     ids = sorted(fps)
     want = closure(ids, [(a, b) for i, a in enumerate(ids) for b in ids[i + 1 :] if (fps[a] ^ fps[b]).bit_count() <= 2])
     assert {r.doc_id: r.component_id for r in rows} == want
+    # every fingerprint once more, one shingle and one bit at a time
+    for doc_id, text in table(spark, SMALL, "documents").select("doc_id", "text").collect():
+        words = [w for w in re.split("[ \\t-\\r]+", "".join(c.lower() if c.isascii() else c for c in text or "")) if w]
+        parts = [" ".join(words[i : i + 3]) for i in range(len(words) - 2)] or [" ".join(words)] * bool(words)
+        hashes = Counter(xxhash.xxh64_intdigest(p.encode(), 42) for p in parts)
+        assert fps[doc_id] == sum(1 << b for b in range(64) if 2 * sum(c for h, c in hashes.items() if h >> b & 1) > len(parts))
     # the fingerprint, with Spark's own hash
     native = spark.sql("select xxhash64('the big cat') as h").first().h % (1 << 64)
     assert simhash.fingerprint("The  BIG\tcat", 3) == native and simhash.fingerprint("the big cat", 5) == native and simhash.fingerprint(" ", 3) == 0
@@ -409,11 +437,17 @@ def test_neighbours_of_structured_data_take_few_leaves(spark):
 
 def test_pipeline_stages(spark):
     odd = odd_documents(spark).drop("hash")
-    ways = [corpus_pipeline.without_repeated_lines, corpus_pipeline.without_near_copies, corpus_pipeline.without_leaks]
-    for stage in ways:
+    for name, stage in corpus_pipeline.STAGES:
         out = stage(spark, odd, SMALL)
-        assert out.columns == odd.columns
-        assert stage(spark, odd.limit(0), SMALL).count() == 0
+        assert out.columns == (["doc_id", "n_tokens", "ids"] if name == "bpe_encoding" else odd.columns)
+        if name != "bpe_encoding":
+            assert out.schema == odd.schema and out.select("lines", "kept", "n").distinct().collect() == [(-1, -1, -1)]
+        assert out.count() <= 8 and stage(spark, odd.limit(0), SMALL).count() == 0
+        if name != "bpe_encoding":
+            with pytest.raises(ValueError):
+                stage(spark, odd.withColumn("__row", F.lit(1)), SMALL)
+    assert keys(corpus_pipeline.without_toxic(spark, odd, SMALL)) == ODD_KEYS
+    assert keys(corpus_pipeline.encoded(spark, odd, SMALL)) == ODD_KEYS
     left = corpus_pipeline.without_near_copies(spark, odd, SMALL).collect()
     assert sorted(str(r.doc_id) for r in left) == ["1", "2", "4", "6", "None"]
     assert {r.doc_id for r in corpus_pipeline.without_leaks(spark, odd, SMALL).collect()} == set(ODD_KEYS)
