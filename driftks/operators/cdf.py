@@ -97,7 +97,7 @@ def from_knots(grid, quantiles, plan: CdfPlan, ties: str = "jump", tail: str = "
     return ApproxCdf(x, p[first], p[last], plan, ties, tail, interp, (q, p))
 
 
-def build_cdf(sample: Sample, plan: CdfPlan, ties: str = "jump", tail: str = "clamp", interp: str = "linear", engine: str = "summary") -> ApproxCdf:
+def build_cdf(sample: Sample, plan: CdfPlan, ties: str = "jump", tail: str = "clamp", interp: str = "linear", engine: str = "aggregate") -> ApproxCdf:
     """One scan of the sample; only its knots reach the driver."""
     grid, q = quantile_knots(sample, plan, engine)
     return from_knots(grid, q, plan, ties, tail, interp)
@@ -134,8 +134,7 @@ def approx_distance(a: ApproxCdf, b: ApproxCdf, spark: SparkSession) -> DataFram
 def eval_cdf(points: DataFrame, column: str, cdf: ApproxCdf, name: str = "f", method: str = "asof") -> DataFrame:
     """``points`` with the function's values ``name`` and left limits ``name_left`` at ``column``.
 
-    ``asof``: knots and points in one sorted stream, each point takes the last knot before and the first after it
-    (points are few, or range-partition them first); ``broadcast``: binary search in every task, no
+    ``asof``: knots and points in sorted streams, each point takes the last knot before and the next one; ``broadcast``: binary search in every task, no
     shuffle of the points; ``range_join``: equality join on a bucket of the value plus the segment's condition;
     ``nested``: nested loop over the segments, for small grids; ``array``: the knots as one literal.
     """
@@ -151,9 +150,9 @@ def eval_cdf(points: DataFrame, column: str, cdf: ApproxCdf, name: str = "f", me
     if method == "array":
         knots = F.array(*(F.struct(F.lit(float(x)).alias("x"), F.lit(float(a)).alias("p_lo"), F.lit(float(b)).alias("p_hi")) for x, a, b in zip(cdf.x, cdf.p_lo, cdf.p_hi, strict=True)))
         return points.withColumn(name, cdf_at(knots, F.col(column))).withColumn(f"{name}_left", cdf_at(knots, F.col(column), left=True))
-    knots = cdf.to_df(spark).select(F.col("x").alias("__x"), F.col("p_lo").alias("__lo"), F.col("p_hi").alias("__hi"))
     if method == "asof":
-        return _asof(points, column, knots, name)
+        return _asof(points, column, cdf, name)
+    knots = cdf.to_df(spark).select(F.col("x").alias("__x"), F.col("p_lo").alias("__lo"), F.col("p_hi").alias("__hi"))
     w = Window.orderBy("__x")
     segments = knots.withColumn("__nx", F.lead("__x").over(w)).withColumn("__nlo", F.lead("__lo").over(w)).withColumn("__px", F.lag("__x").over(w))
     first, last = float(cdf.x[0]), float(cdf.x[-1])
@@ -181,17 +180,28 @@ def _valued(df: DataFrame, v: Column, name: str) -> DataFrame:
     return df.withColumn(name, value).withColumn(f"{name}_left", F.when(v == x, lo).otherwise(value))
 
 
-def _asof(points: DataFrame, column: str, knots: DataFrame, name: str) -> DataFrame:
-    """The as-of join: one sorted stream in which every point sees the last knot at or before it and the next one."""
+def _asof(points: DataFrame, column: str, cdf: ApproxCdf, name: str) -> DataFrame:
+    """The as-of join: in a sorted stream, every point sees the last knot at or before it, which brings the next one along.
+
+    Points are dealt evenly whatever their values, and every share gets all knots (as many as the function stores), so neither a
+    frequent value nor a long table fills a task, and a point costs one step of a running last.
+    """
+    spark = points.sparkSession
+    shares = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    frame = pd.DataFrame({"__v": cdf.x, "__x": cdf.x, "__lo": cdf.p_lo, "__hi": cdf.p_hi, "__nx": np.append(cdf.x[1:], np.nan), "__nlo": np.append(cdf.p_lo[1:], np.nan)})
+    fields = ("__x", "__lo", "__hi", "__nx", "__nlo")
+    knots = spark.createDataFrame(frame, ", ".join(f"{c} double" for c in frame.columns))
+    knots = knots.select("__v", F.struct("__x", "__lo", "__hi", F.nanvl("__nx", F.lit(None).cast("double")).alias("__nx"), F.nanvl("__nlo", F.lit(None).cast("double")).alias("__nlo")).alias("__knot"))
     rest = [F.lit(None).cast(t).alias(c) for c, t in points.dtypes]
-    none = [F.lit(None).cast("double").alias(c) for c in ("__x", "__lo", "__hi")]
-    stream = points.select("*", F.col(column).cast("double").alias("__v"), F.lit(1).alias("__point"), *none)
-    stream = stream.unionAll(knots.select(*rest, F.col("__x").alias("__v"), F.lit(0).alias("__point"), "__x", "__lo", "__hi"))
-    order = Window.orderBy("__v", "__point")
-    past, future = order.rowsBetween(Window.unboundedPreceding, 0), order.rowsBetween(1, Window.unboundedFollowing)
-    knot = F.when(F.col("__point") == 0, F.struct("__x", "__lo", "__hi"))
-    found = stream.withColumn("__a", F.last(knot, ignorenulls=True).over(past)).withColumn("__n", F.first(knot, ignorenulls=True).over(future)).where("__point = 1")
-    found = found.withColumn("__x", F.col("__a.__x")).withColumn("__lo", F.col("__a.__lo")).withColumn("__hi", F.col("__a.__hi")).withColumn("__nx", F.col("__n.__x")).withColumn("__nlo", F.col("__n.__lo"))
+    stream = points.select("*", F.col(column).cast("double").alias("__v"), F.lit(1).alias("__point"), F.pmod(F.monotonically_increasing_id(), F.lit(shares)).alias("__share"), F.lit(None).cast(knots.schema["__knot"].dataType).alias("__knot"))
+    every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shares - 1).cast("long")))
+    stream = stream.unionAll(knots.select(*rest, "__v", F.lit(0).alias("__point"), every.alias("__share"), "__knot"))
+    past = Window.partitionBy("__share").orderBy("__v", "__point").rowsBetween(Window.unboundedPreceding, 0)
+    found = stream.withColumn("__a", F.last("__knot", ignorenulls=True).over(past)).where("__point = 1")
+    for c in fields:
+        found = found.withColumn(c, F.col(f"__a.{c}"))
+    first = float(cdf.p_lo[0]) if cdf.tail == "clamp" else 0.0
+    found = found.withColumn("__nlo", F.when(F.col("__x").isNull(), F.lit(first)).otherwise(F.col("__nlo")))
     return _valued(found, F.col("__v"), name).select(*points.columns, name, f"{name}_left")
 
 

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from driftks.functions import significance as sig
 from driftks.functions.scalars import cdf_at
+from driftks.operators.prefix import cumulative
 from driftks.operators.quantiles import grouped_knots
 from driftks.operators.samples import long_features
 from driftks.plans.lineage import settled
@@ -25,23 +26,9 @@ def grouped_distance(hist: DataFrame, keys: list[str], partitions: int | None =
     The histogram is dealt by ranges of (keys, value), so one group may span many tasks; counts of earlier ranges of a
     group are added as offsets. Groups with one empty side have no distance.
     """
-    parts = partitions or int(hist.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    ranged = settled(hist.repartitionByRange(parts, *keys, "value").withColumn("pid", F.spark_partition_id()))
-    totals = ranged.groupBy(*keys, "pid").agg(F.sum("cx").alias("tx"), F.sum("cy").alias("ty"))
-    earlier = Window.partitionBy(*keys).orderBy("pid").rowsBetween(Window.unboundedPreceding, -1)
-    whole = Window.partitionBy(*keys)
-    zero = F.lit(0).cast("long")
-    offsets = totals.select(
-        *(F.col(k).alias(f"__{k}") for k in keys), F.col("pid").alias("__pid"), F.coalesce(F.sum("tx").over(earlier), zero).alias("bx"), F.coalesce(F.sum("ty").over(earlier), zero).alias("by"),
-        F.sum("tx").over(whole).alias("n"), F.sum("ty").over(whole).alias("m"),
-    )
-    same = F.col("pid") == F.col("__pid")
-    for k in keys:
-        same = same & F.col(k).eqNullSafe(F.col(f"__{k}"))
-    inside = Window.partitionBy(*keys, "pid").orderBy("value").rowsBetween(Window.unboundedPreceding, 0)
-    met = ranged.join(offsets, same)
-    gap = F.abs(F.try_divide(F.sum("cx").over(inside) + F.col("bx"), F.col("n")) - F.try_divide(F.sum("cy").over(inside) + F.col("by"), F.col("m")))
-    out = met.select(*keys, "n", "m", gap.alias("gap")).groupBy(*keys).agg(F.max("gap").alias("d"), F.max("n").alias("n"), F.max("m").alias("m"))
+    sums = cumulative(hist, keys, "value", ["cx", "cy"], partitions)
+    gap = F.abs(F.try_divide("cx_upto", "cx_all") - F.try_divide("cy_upto", "cy_all"))
+    out = sums.select(*keys, F.col("cx_all").alias("n"), F.col("cy_all").alias("m"), gap.alias("gap")).groupBy(*keys).agg(F.max("gap").alias("d"), F.max("n").alias("n"), F.max("m").alias("m"))
     return out.withColumn("p_value", sig.p_value("d", "n", "m"))
 
 
@@ -138,12 +125,27 @@ def explain_gap(df: DataFrame, value: Column, is_x: Column, by: list[str], at: f
     return per.crossJoin(F.broadcast(total)).select(*by, "x_below", "y_below", share.alias("contribution"))
 
 
-def without_each(df: DataFrame, segment: str, value: Column, is_x: Column) -> DataFrame:
-    """Distance that is left when one segment is taken out: ``segment``, ``d``, ``n``, ``m``. For a few segments (a histogram is kept for each)."""
+def without_each(df: DataFrame, segment: str, value: Column, is_x: Column, segments: int = 200) -> DataFrame:
+    """Distance that is left when one segment is taken out: ``left_out``, ``d``, ``n``, ``m``.
+
+    One histogram is kept, with each segment's counts beside it. Where a segment has no row of a value, its own running
+    counts stand still and the others' gap is widest at a value of the others, so the gap is asked for at every value of the
+    total: the segments (``segments`` of them at most, checked) are columns of one pass over it.
+    """
     hist = settled(side_counts(df, [segment], value, is_x))
-    names = hist.select(F.col(segment).alias("__out")).distinct()
-    left = hist.join(F.broadcast(names), ~F.col(segment).eqNullSafe(F.col("__out"))).groupBy(F.col("__out").alias("left_out"), "value").agg(F.sum("cx").alias("cx"), F.sum("cy").alias("cy"))
-    return grouped_distance(left, ["left_out"]).drop("p_value")
+    names = [r[0] for r in hist.select(segment).distinct().limit(segments + 1).collect()]
+    if len(names) > segments:
+        raise ValueError(f"more than {segments} segments: take drift_by_group or explain_gap, or raise the bound")
+    own = [c for i, k in enumerate(names) for c in (F.sum(F.when(F.col(segment).eqNullSafe(F.lit(k)), F.col("cx")).otherwise(0)).alias(f"x{i}"), F.sum(F.when(F.col(segment).eqNullSafe(F.lit(k)), F.col("cy")).otherwise(0)).alias(f"y{i}"))]
+    wide = hist.groupBy("value").agg(F.sum("cx").alias("cx"), F.sum("cy").alias("cy"), *own)
+    sums = cumulative(wide, [], "value", [c for c in wide.columns if c != "value"])
+    rest = lambda side, i, end: F.col(f"c{side}_{end}") - F.col(f"{side}{i}_{end}")
+    gap = lambda i: F.abs(F.try_divide(rest("x", i, "upto"), rest("x", i, "all")) - F.try_divide(rest("y", i, "upto"), rest("y", i, "all")))
+    kind = hist.schema[segment].dataType
+    row = [F.struct(F.lit(k).cast(kind).alias("left_out"), F.max(gap(i)).alias("d"), F.max(rest("x", i, "all")).alias("n"), F.max(rest("y", i, "all")).alias("m")) for i, k in enumerate(names)]
+    if not row:
+        return hist.sparkSession.createDataFrame([], f"left_out {kind.simpleString()}, d double, n long, m long")
+    return sums.agg(F.array(*row).alias("rows")).select(F.inline("rows"))
 
 
 def worst(tests: DataFrame, k: int, by: str = "d") -> DataFrame:

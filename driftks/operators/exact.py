@@ -10,8 +10,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from driftks.functions.scalars import MODELS
+from driftks.operators.prefix import cumulative
 from driftks.operators.samples import Sample, tagged
-from driftks.plans.lineage import settled
 
 METHODS = ("window", "range", "refine", "histogram_join")
 
@@ -32,45 +32,38 @@ def _widest(gaps: DataFrame) -> DataFrame:
     return gaps.agg(F.max("gap").alias("d"), F.min_by("value", F.struct(-F.col("gap"), "value")).alias("at"))
 
 
-def _ordered():
-    return Window.orderBy("value").rowsBetween(Window.unboundedPreceding, 0)
+def _sized(gaps: DataFrame) -> DataFrame:
+    return gaps.agg(F.max("gap").alias("d"), F.min_by("value", F.struct(-F.col("gap"), "value")).alias("at"), F.max("n").alias("n"), F.max("m").alias("m"))
+
+
+def gaps_of(hist: DataFrame, partitions: int | None = None) -> DataFrame:
+    """Both exact functions and their gap at each value of a histogram, by value ranges; no task sees all rows."""
+    sums = cumulative(hist, [], "value", ["cx", "cy"], partitions)
+    fx, fy = F.try_divide("cx_upto", "cx_all"), F.try_divide("cy_upto", "cy_all")
+    return sums.select("value", "cx", "cy", fx.alias("fx"), fy.alias("fy"), F.abs(fx - fy).alias("gap"), F.col("cx_all").alias("n"), F.col("cy_all").alias("m"))
 
 
 def gap_table(ref: Sample, test: Sample) -> DataFrame:
-    """Both exact functions and their gap at each distinct value; one sorted partition, so for few distinct values."""
-    hist = histogram(ref, test)
-    totals = hist.agg(F.sum("cx").alias("n"), F.sum("cy").alias("m"))
-    return _gaps(hist.crossJoin(F.broadcast(totals)), _ordered(), F.col("n"), F.col("m")).select("value", "cx", "cy", "fx", "fy", "gap", "n", "m")
+    """Both exact functions and their gap at each distinct value."""
+    return gaps_of(histogram(ref, test))
 
 
 def _by_window(hist: DataFrame) -> DataFrame:
+    """The textbook form, one sorted partition: for a histogram of few values (bins, categories)."""
     totals = hist.agg(F.sum("cx").alias("n"), F.sum("cy").alias("m"))
-    gaps = _gaps(hist.crossJoin(F.broadcast(totals)), _ordered(), F.col("n"), F.col("m"))
-    return gaps.agg(F.max("gap").alias("d"), F.min_by("value", F.struct(-F.col("gap"), "value")).alias("at"), F.max("n").alias("n"), F.max("m").alias("m"))
-
+    ordered = Window.orderBy("value").rowsBetween(Window.unboundedPreceding, 0)
+    return _sized(_gaps(hist.crossJoin(F.broadcast(totals)), ordered, F.col("n"), F.col("m")))
 
-def ranged(hist: DataFrame, partitions: int) -> DataFrame:
-    """The histogram in value ranges, with the number ``pid`` of each; written, so that the numbers stay."""
-    return settled(hist.repartitionByRange(partitions, "value").withColumn("pid", F.spark_partition_id()))
 
-
-def _by_range(hist: DataFrame, partitions: int) -> DataFrame:
-    """Cumulative counts within ranges, on top of the sums of the ranges before; no task sees all rows."""
-    parts = ranged(hist, partitions)
-    totals = parts.groupBy("pid").agg(F.sum("cx").alias("tx"), F.sum("cy").alias("ty"))
-    earlier = Window.orderBy("pid").rowsBetween(Window.unboundedPreceding, -1)
-    whole = Window.partitionBy()
-    # as many rows as there are ranges
-    offsets = totals.select("pid", F.coalesce(F.sum("tx").over(earlier), F.lit(0)).alias("bx"), F.coalesce(F.sum("ty").over(earlier), F.lit(0)).alias("by"), F.sum("tx").over(whole).alias("n"), F.sum("ty").over(whole).alias("m"))
-    inside = Window.partitionBy("pid").orderBy("value").rowsBetween(Window.unboundedPreceding, 0)
-    gaps = _gaps(parts.join(F.broadcast(offsets), "pid"), inside, F.col("n"), F.col("m"), F.col("bx"), F.col("by"))
-    return gaps.agg(F.max("gap").alias("d"), F.min_by("value", F.struct(-F.col("gap"), "value")).alias("at"), F.max("n").alias("n"), F.max("m").alias("m"))
+def _by_range(hist: DataFrame, partitions: int | None = None) -> DataFrame:
+    """Cumulative counts within value ranges, on top of the sums of the ranges before."""
+    return _sized(gaps_of(hist, partitions))
 
 
-def _by_join(ref: Sample, test: Sample) -> DataFrame:
+def _by_join(ref: Sample, test: Sample, partitions: int | None = None) -> DataFrame:
     x = ref.values().groupBy("value").agg(F.count("*").alias("cx"))
     y = test.values().groupBy("value").agg(F.count("*").alias("cy"))
-    return _by_window(x.join(y, "value", "full_outer").select("value", F.coalesce("cx", F.lit(0)).alias("cx"), F.coalesce("cy", F.lit(0)).alias("cy")))
+    return _by_range(x.join(y, "value", "full_outer").select("value", F.coalesce("cx", F.lit(0)).alias("cx"), F.coalesce("cy", F.lit(0)).alias("cy")), partitions)
 
 
 def bucket_of(value: Column, edges: list[float]) -> Column:
@@ -119,25 +112,25 @@ def _by_refining(ref: Sample, test: Sample, knots: int) -> DataFrame:
 def exact_distance(ref: Sample, test: Sample, method: str = "range", partitions: int | None = None, knots: int = 256) -> DataFrame:
     """One row: ``d``, ``at`` (the least value with the widest gap), ``n`` and ``m``.
 
-    ``window`` sorts the histogram in one partition and is for few distinct values; ``range`` and ``refine`` hold
-    at any size; ``histogram_join`` joins the two histograms. All give the same numbers.
+    ``window`` sorts the histogram in one partition and is for few distinct values; ``range``, ``refine`` and
+    ``histogram_join`` (of the two histograms) hold at any size. All give the same numbers.
     """
     if method == "window":
         return _by_window(histogram(ref, test))
     if method == "range":
-        parts = partitions or int(ref.df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        return _by_range(histogram(ref, test), parts)
+        return _by_range(histogram(ref, test), partitions)
     if method == "refine":
         return _by_refining(ref, test, knots)
     if method == "histogram_join":
-        return _by_join(ref, test)
+        return _by_join(ref, test, partitions)
     raise ValueError(f"unknown method {method!r}")
 
 
 def exact_cdf(sample: Sample) -> DataFrame:
-    """``value``, its count ``c`` and the exact distribution function ``cdf``, right-continuous at ties."""
+    """``value``, its count ``c``, the sample's size ``n`` and the exact distribution function ``cdf``, right-continuous at ties."""
     hist = sample.values().groupBy("value").agg(F.count("*").alias("c"))
-    return hist.withColumn("cdf", F.sum("c").over(_ordered()) / F.sum("c").over(Window.partitionBy()))
+    sums = cumulative(hist, [], "value", ["c"])
+    return sums.select("value", "c", F.col("c_all").alias("n"), (F.col("c_upto") / F.col("c_all")).alias("cdf"))
 
 
 def model_cdf(value: Column, dist, **params) -> Column:
@@ -147,7 +140,7 @@ def model_cdf(value: Column, dist, **params) -> Column:
 
 def one_sample_distance(sample: Sample, dist, **params) -> DataFrame:
     """One row ``d``, ``n``: the exact distance between a sample and a model, either side of every step."""
-    cdf = exact_cdf(sample).withColumn("left", F.col("cdf") - F.col("c") / F.sum("c").over(Window.partitionBy()))
+    cdf = exact_cdf(sample).withColumn("left", F.col("cdf") - F.col("c") / F.col("n"))
     model = model_cdf(F.col("value"), dist, **params)
     gap = F.greatest(F.abs(F.col("cdf") - model), F.abs(F.col("left") - model))
     return cdf.select(gap.alias("gap"), "c").agg(F.max("gap").alias("d"), F.sum("c").alias("n"))
@@ -156,7 +149,7 @@ def one_sample_distance(sample: Sample, dist, **params) -> DataFrame:
 def signed_distance(state: DataFrame) -> DataFrame:
     """Distance from a multiset table ``side``, ``value``, ``sign`` (+1 inserted, -1 removed)."""
     net = state.groupBy("value").agg(F.sum(F.when(F.col("side") == "x", F.col("sign")).otherwise(0)).alias("cx"), F.sum(F.when(F.col("side") == "y", F.col("sign")).otherwise(0)).alias("cy"))
-    return _by_window(net.where("cx <> 0 or cy <> 0"))
+    return _by_range(net.where("cx <> 0 or cy <> 0"))
 
 
 def incremental_test(ref: Sample, test: Sample, inserts: DataFrame, deletes: DataFrame) -> DataFrame:

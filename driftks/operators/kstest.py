@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from driftks.functions import significance as sig
 from driftks.operators.cdf import ApproxCdf, build_cdf, distance_py, from_knots
 from driftks.operators.exact import exact_distance, model_cdf
-from driftks.operators.quantiles import pair_knots
+from driftks.operators.quantiles import both_knots, pair_knots
 from driftks.operators.samples import Sample, profile_pair, subsample
 from driftks.plans import config
 from driftks.plans.params import CdfPlan, TestPlan, plan_cdf, plan_test, probability_grid
@@ -34,17 +34,21 @@ def result_row(spark: SparkSession, d: float, at: float, n: int, m: int, plans:
     return out.select(*(c.split()[0] for c in RESULT.split(", ")))
 
 
-def build_pair(ref: Sample, test: Sample, plan: TestPlan, ties: str = "jump", engine: str = "summary", interp: str = "linear", tail: str = "clamp") -> tuple[ApproxCdf, ApproxCdf]:
+def build_pair(ref: Sample, test: Sample, plan: TestPlan, ties: str = "jump", engine: str = "aggregate", interp: str = "linear", tail: str = "clamp") -> tuple[ApproxCdf, ApproxCdf]:
+    """Both functions; with the ``aggregate`` engine from one pass over the pair."""
+    if engine == "aggregate":
+        knots = both_knots(ref, test, (plan.x, plan.y))
+        return tuple(from_knots(g, q, p, ties, tail, interp) for (g, q), p in zip(knots, (plan.x, plan.y), strict=True))
     return tuple(build_cdf(s, p, ties, tail, interp, engine) for s, p in ((ref, plan.x), (test, plan.y)))
 
 
-def two_sample_test(ref: Sample, test: Sample, alpha: float = config.ALPHA, beta: float | None = None, phi: float | None = None, delta: float | None = None, split: str = "unit_slope", engine: str = "summary", ties: str = "jump", interp: str = "linear", tail: str = "clamp", plan: TestPlan | None = None) -> DataFrame:
-    """The approximate test: sizes, plan, one quantile pass a sample, largest gap of the two functions, significance.
+def two_sample_test(ref: Sample, test: Sample, alpha: float = config.ALPHA, beta: float | None = None, phi: float | None = None, delta: float | None = None, split: str = "unit_slope", engine: str = "aggregate", ties: str = "jump", interp: str = "linear", tail: str = "clamp", plan: TestPlan | None = None) -> DataFrame:
+    """The approximate test: sizes, plan, one quantile pass over both samples, largest gap of the two functions, significance.
 
     No row is shuffled; sketches and knots are. Returns one row of ``RESULT``.
     """
     spark = ref.df.sparkSession
-    seen = profile_pair(ref, test)
+    seen = profile_pair(ref, test, distinct=False)
     if plan is None:
         plan = plan_test(max(seen.n, 1), max(seen.m, 1), phi, alpha if beta is not None else None, beta, delta, split)
     a, b = build_pair(ref, test, plan, ties, engine, interp, tail)
@@ -56,9 +60,7 @@ def one_scan_test(df: DataFrame, value: Column, is_x: Column, alpha: float = con
     """Both sides of one table in a single pass: the balanced split does not need the sizes, so counts come with the sketches."""
     x = plan_cdf(0, phi / 2, "balanced")
     grid = probability_grid(0, x.a)
-    qx, qy = pair_knots(df, value, is_x, (grid, grid), (x.eps, x.eps))
-    fine = value.cast("double").isNotNull() & ~F.isnan(value.cast("double"))
-    n, m = df.agg(F.count_if(fine & is_x), F.count_if(fine & ~is_x)).first()
+    qx, qy, n, m = pair_knots(df, value, is_x, (grid, grid), (x.eps, x.eps))
     plans = tuple(CdfPlan(k, x.delta, x.eps, x.a, x.split) for k in (n, m))
     a, b = (from_knots(grid if q else [], q, p) for q, p in zip((qx, qy), plans, strict=True))
     d, at = distance_py(a, b)
@@ -81,13 +83,13 @@ def adaptive_test(ref: Sample, test: Sample, alpha: float = config.ALPHA, phi: f
         out = two_sample_test(ref, test, alpha, phi=phi, split=split)
         if out.first()["decision"] != "undecided":
             return out.withColumn("escalated", F.lit(False)).withColumn("d_exact", F.lit(None).cast("double"))
-    d, at, n, m = exact_distance(ref, test, "refine" if seen.distinct > config.EXACT_DISTINCT else "window").first()
+    d, at, n, m = exact_distance(ref, test, "refine" if seen.distinct > config.EXACT_DISTINCT else "range").first()
     none = CdfPlan(n or 0, 0.0, 0.0, 0, "exact")
     out = result_row(ref.df.sparkSession, d, at, n or 0, m or 0, (none, none), 0.0, alpha, "exact", "jump", (seen.dropped_x, seen.dropped_y))
     return out.withColumn("escalated", F.lit(True)).withColumn("d_exact", F.col("d_hat"))
 
 
-def against_cdf(ref: ApproxCdf, test: Sample, alpha: float = config.ALPHA, engine: str = "summary") -> DataFrame:
+def against_cdf(ref: ApproxCdf, test: Sample, alpha: float = config.ALPHA, engine: str = "aggregate") -> DataFrame:
     """Test a sample against a stored distribution function; the reference is not scanned."""
     m = test.values().count()
     plan = plan_cdf(max(m, 1), ref.plan.delta, "balanced")
@@ -138,7 +140,7 @@ def spark_one_sample_test(sample: Sample, mean: float = 0.0, sd: float = 1.0) ->
 def sampled_test(ref: Sample, test: Sample, fraction: float = 0.1, seed: int = 1, alpha: float = config.ALPHA) -> DataFrame:
     """Ablation: the exact test on a Bernoulli sample of either side."""
     x, y = (Sample(subsample(s.values(), fraction, seed=seed), "value") for s in (ref, test))
-    return exact_test(x, y, alpha, "window")
+    return exact_test(x, y, alpha)
 
 
 def histogram_test(ref: Sample, test: Sample, bins: int = 100, alpha: float = config.ALPHA) -> DataFrame:

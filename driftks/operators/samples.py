@@ -63,11 +63,11 @@ class Profile:
     distinct: int
 
 
-def profile_pair(ref: Sample, test: Sample) -> Profile:
-    """Sizes, missing values and approximate distinct count of a pair, in one job."""
+def profile_pair(ref: Sample, test: Sample, distinct: bool = True) -> Profile:
+    """Sizes, missing values and, on request, the approximate distinct count of a pair, in one job."""
     both = ref.raw().select(F.lit(True).alias("x"), "value").unionAll(test.raw().select(F.lit(False).alias("x"), "value"))
     fine = F.col("value").isNotNull() & ~F.isnan("value")
-    row = both.agg(F.count_if(fine & F.col("x")), F.count_if(fine & ~F.col("x")), F.count_if(~F.coalesce(fine, F.lit(False)) & F.col("x")), F.count_if(~F.coalesce(fine, F.lit(False)) & ~F.col("x")), F.approx_count_distinct(F.when(fine, F.col("value")))).first()
+    row = both.agg(F.count_if(fine & F.col("x")), F.count_if(fine & ~F.col("x")), F.count_if(~F.coalesce(fine, F.lit(False)) & F.col("x")), F.count_if(~F.coalesce(fine, F.lit(False)) & ~F.col("x")), F.approx_count_distinct(F.when(fine, F.col("value"))) if distinct else F.lit(0)).first()
     return Profile(*row)
 
 
@@ -96,6 +96,11 @@ def subsample(df: DataFrame, fraction: float, key: Column | None = None, seed: i
     return df.where(F.pmod(F.xxhash64(F.lit(seed), key), F.lit(1 << 30)) < int(fraction * (1 << 30)))
 
 
+def stratified(df: DataFrame, stratum: str, fractions: dict, seed: int = 1) -> DataFrame:
+    """A sample with its own fraction for each value of ``stratum`` (values without one are left out)."""
+    return df.sampleBy(stratum, fractions, seed)
+
+
 def is_supported(kind: T.DataType) -> bool:
     """Whether a column of this type can be a sample as it is."""
     try:

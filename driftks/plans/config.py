@@ -3,9 +3,7 @@
 ALPHA = 0.05
 #: Precision of the distance when neither it nor a p-value precision is given.
 PHI = 0.01
-#: Longest grid of probabilities that may stand in a plan as a literal.
-FOLDABLE_GRID = 10_000
-#: Most knots that come to the driver; beyond, the balanced split (which does not grow with N) is used.
+#: Most knots of a grid, in a plan and on the driver; beyond, the balanced split (which does not grow with N) is used and a warning given.
 DRIVER_KNOTS = 200_000
 #: Up to so many distinct values, the exact test on the value histogram is used when routing is automatic.
 EXACT_DISTINCT = 100_000

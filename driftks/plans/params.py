@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import warnings
 from dataclasses import asdict, dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -92,6 +93,7 @@ def plan_cdf(n: int, delta: float, split: str = "unit_slope", eps: float | None
         points = points_for(delta, e)
         if max_points is None or points <= max_points:
             return CdfPlan(n, delta, e if points <= n else 0.0, min(points, n) if n >= 3 else max(n, 1), split)
+        warnings.warn(f"a unit-slope grid of {points} points is beyond {max_points}: the balanced split is taken", stacklevel=2)
     elif split != "balanced":
         raise ValueError(f"unknown split {split!r}")
     return CdfPlan(n, delta, delta / 2.0, points_for(delta, delta / 2.0), "balanced")
