@@ -7,6 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from driftks.plans.lineage import remove, settled, shared_folder  # noqa: F401  (operators take them from here)
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """The Parquet table ``name`` below ``sf_dir`` (any path that Spark's readers open)."""
@@ -23,15 +25,6 @@ def bound(value: Column, body: Callable[[Column], Column]) -> Column:
     return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
-def settled(df: DataFrame) -> DataFrame:
-    """Cut the lineage of ``df`` through the shared checkpoint folder of the session."""
-    base = shared_base(df.sparkSession)
-    sc = df.sparkSession.sparkContext
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(base)
-    return df.checkpoint()
-
-
 def joined_unique(left: DataFrame, right: DataFrame, on: list[str], least: int = 100_000, parts: int = 10_000) -> DataFrame:
     """Left join with ``right``, whose keys ``on`` are unique, where a key may hold any share of ``left`` (a settled table).
 
@@ -46,31 +39,3 @@ def joined_unique(left: DataFrame, right: DataFrame, on: list[str], least: int =
     hot, met = F.broadcast(heavy), F.broadcast(right.join(F.broadcast(heavy), on, "left_semi"))
     apart = left.join(hot, on, "left_anti").join(right, on, "left")
     return left.join(hot, on, "left_semi").join(met, on, "left").unionByName(apart)
-
-
-def shared_base(spark: SparkSession) -> str:
-    """The folder that ``spark.checkpoint.dir`` names. Where none is set (tests, a laptop: local mode only)
-    one is chosen on this machine; a cluster without one is refused, since its executors share no local folder."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if base:
-        return base.rstrip("/")
-    master = spark.sparkContext.master
-    if not master.startswith("local") or master.startswith("local-cluster"):
-        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-    import os
-    import tempfile
-
-    return f"file://{tempfile.gettempdir()}/checkpoints-{os.getpid()}"
-
-
-def shared_folder(spark: SparkSession, name: str) -> str:
-    """A fresh path below the shared folder of the session, for files that a later stage reads."""
-    import uuid
-
-    return f"{shared_base(spark)}/{name}-{uuid.uuid4().hex}"
-
-
-def remove(spark: SparkSession, folder: str) -> None:
-    """Delete a folder of ``shared_folder`` that no one reads any more."""
-    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
-    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
