@@ -80,22 +80,52 @@ def pair(name: str, spark: SparkSession, sf_dir: str, only: Column | None = None
     raise KeyError(name)
 
 
-def normal_slices(spark: SparkSession, sf_dir: str, k: int = 20) -> dict[str, Sample]:
-    """``k`` disjoint normal samples: three embedding dimensions each."""
-    g = gauss(spark, sf_dir)
-    return {f"slice{i}": Sample(g, "z", f"dim >= {3 * i} and dim < {3 * i + 3}") for i in range(k)}
+def normal_slices(spark: SparkSession, sf_dir: str, k: int = 20) -> DataFrame:
+    """``sample`` (0 to k-1) and ``value``: ``k`` disjoint normal samples, three embedding dimensions each."""
+    g = gauss(spark, sf_dir).where(F.col("dim") < 3 * k)
+    return g.select(F.floor(F.col("dim") / 3).cast("int").alias("sample"), F.col("z").alias("value"))
 
 
-def replications(name: str, spark: SparkSession, sf_dir: str, k: int = 20) -> list[tuple[Sample, Sample]]:
-    """``k`` disjoint parts of a workload's samples, by plain modulo of the vector id."""
-    return [pair(name, spark, sf_dir, F.pmod(F.floor(F.col("vec_id") / 2), F.lit(k)) == i) for i in range(k)]
+def replications(name: str, spark: SparkSession, sf_dir: str, k: int = 20) -> DataFrame:
+    """``rep``, ``is_x`` and ``value``: ``k`` disjoint parts of a workload's samples, by plain modulo of the vector id (a
+    sample without one is in all parts)."""
+    e = gauss(spark, sf_dir).withColumn("rep", F.pmod(F.floor(F.col("vec_id") / 2), F.lit(k)).cast("int"))
+    z, even = F.col("z"), F.col("vec_id") % 2 == 0
+    if name == "w4":
+        every = uniform_price(spark, sf_dir).where("o_orderkey % 12 = 0").select(F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("rep"), F.lit(False).alias("is_x"), F.col("u").alias("value"))
+        return e.select("rep", F.lit(True).alias("is_x"), (z * z / 2.0).alias("value")).unionByName(every)
+    if name == "w5":
+        return e.select("rep", (F.col("vec_id") % 13 != 0).alias("is_x"), (z * z / 2.0).alias("value"))
+    change = {"w1": z + 1.0, "w2": z * 2.0**0.5, "w3": z}[name]
+    return e.select("rep", even.alias("is_x"), F.when(even, z).otherwise(change).alias("value"))
 
 
-def full_size(name: str, spark: SparkSession, seed: int) -> tuple[Sample, Sample]:
-    """The workload at the sizes of its experiment, from Spark's generators."""
-    from driftks.sources import generate
+#: Sizes of the samples in the replicated experiments, and in the comparison with the direct-sketch test.
+SIZES = {"w1": (10_000, 10_000), "w2": (10_000, 10_000), "w3": (10_000, 10_000), "w4": (84_000, 7_000), "w5": (84_000, 7_000)}
+THIRD = {"w1": 10_000, "w2": 10_000, "w3": 100_000, "w4": 84_000, "w5": 84_000}
 
-    kinds = {"w1": ("normal", "normal", {"mean": 1.0}), "w2": ("normal", "normal", {"sd": 2.0**0.5}), "w3": ("normal", "normal", {}), "w4": ("gamma_half", "uniform", {}), "w5": ("gamma_half", "gamma_half", {})}
-    first, second, params = kinds[name]
-    n, m = (10_000, 10_000) if name in ("w1", "w2", "w3") else (84_000, 7_000)
-    return generate(spark, first, n, 2 * seed), generate(spark, second, m, 2 * seed + 1, **params)
+
+def drawn(stream: str, number: Column) -> Column:
+    """A uniform draw from a hash of the row number: the same on every cluster, and one that SQL repeats."""
+    digits = F.substring(F.md5(F.concat(F.lit(f"{stream}:"), number.cast("string")).cast("binary")), 1, 13)
+    return (F.conv(digits, 16, 10).cast("long").cast("double") + 0.5) / 4503599627370496.0
+
+
+def normal_draw(stream: str, number: Column) -> Column:
+    return F.sqrt(-2.0 * F.log(drawn(f"{stream}a", number))) * F.cos(F.lit(6.283185307179586) * drawn(f"{stream}b", number))
+
+
+def full_size(name: str, spark: SparkSession, reps: int = 20, sizes: tuple[int, int] | None = None, stream: str = "") -> DataFrame:
+    """``rep``, ``is_x`` and ``value``: a workload at the sizes of its experiment, ``reps`` independent pairs of samples."""
+    n, m = sizes or SIZES[name]
+    parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    rows = spark.range(0, reps * (n + m), 1, parts).select(F.floor(F.col("id") / (n + m)).cast("int").alias("rep"), (F.col("id") % (n + m) < n).alias("is_x"), "id")
+    z, u = normal_draw(f"{stream}{name}", F.col("id")), drawn(f"{stream}{name}a", F.col("id"))
+    x = z * z / 2.0 if name in ("w4", "w5") else z
+    y = {"w1": z + 1.0, "w2": z * 2.0**0.5, "w3": z, "w4": u, "w5": z * z / 2.0}[name]
+    return rows.select("rep", "is_x", F.when(F.col("is_x"), x).otherwise(y).alias("value"))
+
+
+def sides(rows: DataFrame) -> tuple[Sample, Sample]:
+    """The two samples of a table with ``is_x`` and ``value``."""
+    return Sample(rows, "value", "is_x"), Sample(rows, "value", "not is_x")

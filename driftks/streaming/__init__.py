@@ -5,13 +5,17 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
+from pyspark.sql.types import IntegerType, StructField, StructType
 
+from driftks.functions import significance as sig
+from driftks.functions.scalars import cdf_at
 from driftks.operators.cdf import ApproxCdf
+from driftks.operators.drift import grouped_distance
 from driftks.operators.kstest import against_cdf
-from driftks.operators.quantiles import accuracy
+from driftks.operators.quantiles import accuracy, collapsed_column
 from driftks.operators.samples import Sample
 from driftks.sketch import kll
 from driftks.sources import append_results
@@ -93,11 +97,71 @@ def monitor(stream: DataFrame, reference: ApproxCdf, out_path: str, checkpoint:
     return stream.writeStream.foreachBatch(test).option("checkpointLocation", checkpoint).trigger(availableNow=True)
 
 
-def run_to_memory(stream: DataFrame, name: str, checkpoint: str, mode: str = "complete") -> DataFrame:
-    """Process what is there, wait, and return the in-memory result."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+def run_to_folder(stream: DataFrame, folder: str, mode: str = "complete", trigger: dict | None = None) -> DataFrame:
+    """Process what is there, wait, and return what was written: ``folder`` gets the checkpoint and a table of each batch.
+
+    ``complete``: the rows of the last batch; ``append``: all rows; ``update``: all rows with their ``batch``, the latest of a key
+    counts. A batch that is run again replaces itself, and a query that is started again on the folder goes on where it stopped.
+    Nothing passes through the driver.
+    """
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/out/batch={number}")
+
+    query = stream.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", f"{folder}/checkpoint").trigger(**(trigger or {"availableNow": True})).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    spark = stream.sparkSession
+    done = spark.read.schema(StructType([*stream.schema.fields, StructField("batch", IntegerType())])).option("basePath", f"{folder}/out").parquet(f"{folder}/out")
+    if mode == "update":
+        return done
+    if mode == "append":
+        return done.drop("batch")
+    last = done.agg(F.max("batch")).first()[0]
+    return done.where(F.col("batch") == F.lit(last)).drop("batch")
+
+
+def console_sink(stream: DataFrame, mode: str = "complete", rows: int = 20):
+    """A writer that prints each batch; for trying things out."""
+    return stream.writeStream.format("console").outputMode(mode).option("numRows", rows)
+
+
+def parquet_sink(stream: DataFrame, path: str, checkpoint: str, partition: list[str] | None = None):
+    """A writer of appended Parquet files with exactly-once commits; needs a stream of final rows (append mode)."""
+    out = stream.writeStream.format("parquet").outputMode("append").option("path", path).option("checkpointLocation", checkpoint)
+    return out.partitionBy(*partition) if partition else out
+
+
+def live_distance(pairs: DataFrame, k: int = kll.K) -> DataFrame:
+    """Distance of the two live samples of every window (batch table ``start``, ``n``, ``m``, ``sx``, ``sy``): from sketches, no row is read again."""
+    whole = pairs.agg(F.kll_merge_agg_double("sx").alias("sx"), F.kll_merge_agg_double("sy").alias("sy"))
+    out = kll.distance(pairs.where("n > 0 and m > 0"), kll.probes_of(whole))
+    return out.select("start", "n", "m", "d").withColumn("p_value", sig.p_value("d", "n", "m"))
+
+
+def window_drift(windows: DataFrame) -> DataFrame:
+    """Each window of ``windowed_knots`` (a batch table) against the one before, over their knots: ``start``, ``n``, ``n_before``, ``d_hat``."""
+    jumped = windows.select("start", "n", collapsed_column(F.col("knots"), PROBES).alias("ks"))
+    before = Window.orderBy("start")  # a row a window
+    both = jumped.withColumn("kb", F.lag("ks").over(before)).withColumn("n_before", F.lag("n").over(before)).where("kb is not null")
+    points = F.array_distinct(F.concat(F.transform("ks", lambda k: k["x"]), F.transform("kb", lambda k: k["x"])))
+    gap = lambda x, left: F.abs(cdf_at(F.col("ks"), x, left) - cdf_at(F.col("kb"), x, left))
+    return both.select("start", "n", "n_before", F.array_max(F.transform(points, lambda x: F.greatest(gap(x, False), gap(x, True)))).alias("d_hat"))
+
+
+def incremental(stream: DataFrame, key: str = "key") -> DataFrame:
+    """Net counts of every value under insertions and removals (rows: key, ``side`` 'x' or 'y', ``value``, ``sign`` +1 or -1).
+
+    State is a row for each (key, value) in the state store of the task that its hash picks, so neither a frequent key nor a long history
+    fills one; an ``update`` batch emits the values that changed. ``incremental_distance`` tells the distances.
+    """
+    net = lambda side: F.sum(F.when(F.col("side") == side, F.col("sign")).otherwise(0)).alias(f"c{side}")
+    return stream.groupBy(key, F.col("value").cast("double").alias("value")).agg(net("x"), net("y"))
+
+
+def incremental_distance(changes: DataFrame, key: str = "key") -> DataFrame:
+    """Distance of each key from all changes so far (``batch``, key, ``value``, ``cx``, ``cy``): the latest counts of each value."""
+    latest = changes.groupBy(key, "value").agg(F.max_by(F.struct("cx", "cy"), "batch").alias("c")).select(key, "value", "c.cx", "c.cy").where("cx <> 0 or cy <> 0")
+    return grouped_distance(latest, [key])
 
 
 class IncrementalKs(StatefulProcessor):
@@ -128,8 +192,9 @@ class IncrementalKs(StatefulProcessor):
         pass
 
 
-def incremental(stream: DataFrame, key: str = "key") -> DataFrame:
-    """Distance of each key after each batch of signed rows (needs the RocksDB state store)."""
+def small_incremental(stream: DataFrame, key: str = "key") -> DataFrame:
+    """Distance of each key after each batch of signed rows, for many keys with few distinct values each: a key's histogram is
+    read whole at every batch (needs the RocksDB state store). ``incremental`` holds at any size."""
     out = "key string, n long, m long, d double"
     return stream.groupBy(key).transformWithStateInPandas(statefulProcessor=IncrementalKs(), outputStructType=out, outputMode="Update", timeMode="None")
 

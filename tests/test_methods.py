@@ -204,6 +204,61 @@ def test_formats(spark, tmp_path):
         assert back.agg(F.sum("s_acctbal")).first() == df.agg(F.sum("s_acctbal")).first()
 
 
+def test_no_window_sees_all_rows(spark):
+    """Cumulative counts, distribution functions and as-of evaluation: no sorted single partition over rows."""
+    t = load(spark, SF, "events")
+    s = Sample(t, "value")
+    f = cdf.build_cdf(s, params.plan_cdf(10_000, 0.02))
+    made = [exact.exact_cdf(s), exact.gap_table(s, s), cdf.eval_cdf(s.values(), "value", f), exact.one_sample_distance(s, "expon", mean=50.0)]
+    for df in made:
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        windows = [i for i, line in enumerate(plan.split("\n")) if " Window [" in line]
+        assert windows
+        for i in windows:
+            below = " ".join(plan.split("\n")[i : i + 4])
+            # the one that may is over one row a range
+            assert "SinglePartition" not in below or "__pid" in below and "__t_c" in below
+
+
+def test_asof_evaluation_is_linear(spark):
+    import time
+
+    f = cdf.from_knots(params.probability_grid(0, 101), np.linspace(0, 1, 101), params.plan_cdf(10**6, 0.0, "fixed", 0.01, 101))
+    points = spark.range(2_000_000).select(F.when(F.col("id") % 3 == 0, 0.5).otherwise(F.rand(1)).alias("v"))
+    began = time.perf_counter()
+    worst = cdf.eval_cdf(points, "v", f).agg(F.max(F.abs(F.col("f") - F.col("v")))).first()[0]
+    assert worst < 1e-9 and time.perf_counter() - began < 60
+
+
+def test_taking_segments_out_equals_brute_force(spark):
+    r = np.random.default_rng(12)
+    rows = [(None if k == 0 else f"s{k}", float(v), bool(x)) for k, v, x in zip(r.integers(0, 4, 400), r.integers(0, 30, 400), r.integers(0, 2, 400), strict=True)]
+    df = spark.createDataFrame(rows, "k string, v double, x boolean")
+    for out in drift.without_each(df, "k", F.col("v"), F.col("x")).collect():
+        x, y = (np.array([v for k, v, s in rows if k != out["left_out"] and s is side]) for side in (True, False))
+        assert out["d"] == pytest.approx(brute(x, y)) and (out["n"], out["m"]) == (len(x), len(y))
+    with pytest.raises(ValueError):
+        drift.without_each(df, "v", F.col("v"), F.col("x"), segments=3)
+
+
+def test_p_value_interval_and_small_samples(spark):
+    from driftks.functions import significance as sig
+
+    row = spark.createDataFrame([(0.05, 0.01, 500, 400)], "d double, b double, n long, m long")
+    lo, hi = sig.p_value_interval("d", "b", "n", "m")
+    got = row.select(lo.alias("lo"), hi.alias("hi")).first()
+    assert got["lo"] == pytest.approx(sig.p_value_py(0.06, 500, 400)) and got["hi"] == pytest.approx(sig.p_value_py(0.04, 500, 400))
+
+
+def test_stratified_sample(spark):
+    from driftks.operators.samples import stratified
+
+    t = load(spark, SF, "orders")
+    got = dict(stratified(t, "o_orderstatus", {"F": 1.0, "O": 0.1}).groupBy("o_orderstatus").count().collect())
+    every = dict(t.groupBy("o_orderstatus").count().collect())
+    assert set(got) == {"F", "O"} and got["F"] == every["F"] and abs(got["O"] / every["O"] - 0.1) < 0.03
+
+
 def test_rows_are_not_sorted_or_gathered(spark):
     """The approximate test shuffles sketches only; the exact one at scale has no single partition below its totals."""
     t = load(spark, SF, "lineitem")

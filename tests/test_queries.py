@@ -6,7 +6,7 @@ from driftks import registry
 from .conftest import SF, same_rows
 
 #: One query of each family; the driver runs them all.
-SOME = ["exact_ks_price", "exact_ks_refine", "approx_ks_quantity", "one_scan_ks", "interp_violation", "traces", "top_gaps", "sql_functions", "critical_distance_table", "precision_table", "unit_slope_table", "one_sample_uniform", "one_sample_normal", "holm_adjusted", "drift_by_group", "drift_rollup", "drift_cube", "pairwise_groups", "incremental", "asof_eval", "range_join_eval", "interval_events", "session_features", "stream_weekly_knots", "stream_incremental", "stored_reference"]
+SOME = ["exact_ks_price", "exact_ks_refine", "exact_statement", "approx_limit_quantity", "approx_limit_acctbal", "approx_limit_mid", "approx_limit_gamma_self", "third_table_exact", "replicate_exact_gamma_unif", "full_size_exact_gauss_shift", "histogram_ks", "sampled_ks", "adaptive_ks", "interp_violation", "traces_exact", "top_gaps", "sql_functions", "critical_distance_table", "precision_table", "unit_slope_table", "one_sample_uniform", "one_sample_normal", "holm_adjusted", "drift_by_group", "drift_rollup", "drift_cube", "without_each", "pairwise_groups", "incremental", "asof_eval", "range_join_eval", "interval_events", "session_features", "rank_sketch", "stream_weekly_knots", "stream_incremental", "stream_two"]
 
 
 @pytest.mark.parametrize("name", SOME)
@@ -14,6 +14,44 @@ def test_query_equals_its_sql(spark, duck, name):
     same_rows(registry.queries()[name](spark, SF), duck, registry.oracle_sql()[name])
 
 
+def values_of(duck, name, side):
+    import numpy as np
+
+    return np.array([v for (v,) in duck.execute(registry.PAIRS[name][side]).fetchall()], float)
+
+
+def gap(x, y):
+    import numpy as np
+
+    points = np.union1d(x, y)
+    return np.abs(np.searchsorted(np.sort(x), points, "right") / len(x) - np.searchsorted(np.sort(y), points, "right") / len(y)).max()
+
+
+@pytest.mark.parametrize("name", ["price", "quantity", "discount_tax", "acctbal", "textlen", "w3", "w4"])
+def test_approximate_queries_keep_their_bound(spark, duck, name):
+    """The distance that a query named after the method returns, against the exact one from numpy."""
+    label = {"w3": "gauss_null", "w4": "gamma_unif"}.get(name, name)
+    x, y = (values_of(duck, name, side) for side in (0, 1))
+    r = registry.queries()[f"approx_ks_{label}"](spark, SF).first()
+    d = gap(x, y)
+    assert (r["n"], r["m"]) == (len(x), len(y)) and abs(r["d_hat"] - d) <= r["d_bound"] + 1e-12
+    assert r["p_lo"] <= r["p_value"] <= r["p_hi"] and r["decision"] in ("reject", "accept", "undecided")
+
+
+def test_published_settings_and_behaviour(spark):
+    """Twenty replications at the published sizes and precisions: knots, errors inside twice the bound of a function, decisions."""
+    q = registry.queries()
+    rows = q["full_size_gauss_null"](spark, SF).collect()
+    assert len(rows) == 20 and all(abs(r["a_x"] - 7083) <= 3 and r["inside"] and r["agrees"] for r in rows)
+    assert max(r["error"] for r in rows) <= 0.0004 and sum(r["reject"] for r in rows) <= 4
+    rows = q["cdf_convergence"](spark, SF).collect()
+    assert len(rows) == 9 and all(r["inside"] for r in rows)
+    worst = {(r["a"], r["eps"]): r["max_error"] for r in rows}
+    assert worst[11, 0.1] > worst[51, 0.1] > worst[51, 0.01] > worst[501, 0.001]
+    r = q["compare_gauss_var"](spark, SF).first()
+    assert r["points_planned"] == 2 * 1416 and r["points_planned"] > r["points_sketch"] and r["cdf_inside"] and r["sketch_inside"]
+
+
 def test_entry(spark):
     df = entry.entry(spark)
     assert df.count() == 1 and df.schema == entry.entry(spark).schema
