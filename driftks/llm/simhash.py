@@ -15,8 +15,9 @@ half way between them; so every member is linked to the least near member of eac
 names and no pairs are listed. Both ways give exactly the same components.
 
 Only distinct fingerprints are indexed, so exact copies cost one entry whatever their number; entries
-are counted before they are joined, and a fingerprint or component that holds very many rows gets
-its answer by broadcast instead of gathering them in one task.
+are counted before they are joined, and those that more than one fingerprint shares are broadcast if there are
+``SENT`` of them at most, so the variants are shuffled once, for the counts alone. A fingerprint or component that
+holds very many rows gets its answer by broadcast instead of gathering them in one task.
 
 Edge cases: a null or empty text, or one without words, has fingerprint zero and links like any
 other; with fewer words than a shingle, the whole sequence is the one shingle; repeated rows
@@ -36,6 +37,7 @@ from driftks.llm.components import components
 from driftks.llm.tables import joined_unique, settled, table, whole_text
 
 SEED = 42
+SENT = 200_000  # rows of a few numbers (index entries, keys) that are broadcast at most; more are joined by a shuffle
 
 
 def shingle_hashes(text: str, shingle: int) -> np.ndarray:
@@ -105,12 +107,13 @@ def links(fps: DataFrame, bits: int = 2, crowd: int = 64) -> DataFrame:
     """Pairs (a, b) of distinct fingerprints whose components are those of all linked pairs."""
     if not 1 <= bits <= 3:
         raise ValueError("between 1 and 3 differing bits")
-    each = variants(fps, bits)
-    counts = each.groupBy("slot", "part").agg(F.count("*").alias("n")).where("n > 1")
-    shared = settled(each.join(counts, ["slot", "part"]))
+    each = variants(fps.repartition(int(fps.sparkSession.conf.get("spark.sql.shuffle.partitions")), "fp"), bits)
+    entry = ["slot", "part"]
+    counts = settled(each.groupBy(*entry).agg(F.count("*").alias("n")).where("n > 1"))
+    shared = settled(each.join(F.broadcast(counts) if counts.count() <= SENT else counts, entry))
     thin = shared.where(F.col("n") <= crowd).drop("n")
-    other = thin.select("slot", "part", F.col("fp").alias("b"))
-    pairs = thin.withColumnRenamed("fp", "a").join(other, ["slot", "part"]).where((F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= bits)).select("a", "b")
+    other = thin.withColumnRenamed("fp", "b")
+    pairs = thin.withColumnRenamed("fp", "a").join(other, entry).where((F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= bits)).select("a", "b")
     crowded = shared.where(F.col("n") > crowd).select("fp").distinct()
     named = settled(points(crowded, bits))
     least = named.where("near").groupBy("point").agg(F.min("fp").alias("a"))
