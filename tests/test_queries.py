@@ -52,6 +52,21 @@ def test_published_settings_and_behaviour(spark):
     assert r["points_planned"] == 2 * 1416 and r["points_planned"] > r["points_sketch"] and r["cdf_inside"] and r["sketch_inside"]
 
 
+def test_exact_statement_joins_by_key(spark, tmp_path):
+    """No pairing of every order with every customer; orders without a customer, price or balance, and customers that repeat, as in its SQL."""
+    import duckdb
+
+    assert "ExistenceJoin" not in registry.queries()["exact_statement"](spark, SF)._jdf.queryExecution().toString()
+    orders = [(i, i % 7 if i % 11 else None, None if i % 13 == 0 else float("nan") if i % 17 == 0 else i * 777.0) for i in range(200)]
+    customers = [(k % 6, None if k == 3 else k * 2_000.0) for k in range(8)] + [(None, 9_000.0)]
+    spark.createDataFrame(orders, "o_orderkey long, o_custkey long, o_totalprice double").write.parquet(f"{tmp_path}/orders.parquet")
+    spark.createDataFrame(customers, "c_custkey long, c_acctbal double").write.parquet(f"{tmp_path}/customer.parquet")
+    con = duckdb.connect()
+    for t in ("orders", "customer"):
+        con.execute(f"create view {t} as select * from '{tmp_path}/{t}.parquet/*.parquet'")
+    same_rows(registry.queries()["exact_statement"](spark, str(tmp_path)), con, registry.oracle_sql()["exact_statement"])
+
+
 def test_entry(spark):
     df = entry.entry(spark)
     assert df.count() == 1 and df.schema == entry.entry(spark).schema
