@@ -107,7 +107,8 @@ def links(fps: DataFrame, bits: int = 2, crowd: int = 64) -> DataFrame:
     """Pairs (a, b) of distinct fingerprints whose components are those of all linked pairs."""
     if not 1 <= bits <= 3:
         raise ValueError("between 1 and 3 differing bits")
-    each = variants(fps.repartition(int(fps.sparkSession.conf.get("spark.sql.shuffle.partitions")), "fp"), bits)
+    # dealt by a hash of its own: by ``fp`` alone, fingerprints that are grouped by it already stay in the few tasks that their size calls for, not their variants'
+    each = variants(fps.repartition(int(fps.sparkSession.conf.get("spark.sql.shuffle.partitions")), F.xxhash64("fp")), bits)
     entry = ["slot", "part"]
     counts = settled(each.groupBy(*entry).agg(F.count("*").alias("n")).where("n > 1"))
     shared = settled(each.join(F.broadcast(counts) if counts.count() <= SENT else counts, entry))

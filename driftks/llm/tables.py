@@ -20,6 +20,13 @@ def whole_text(text: str | Column) -> Column:
     return F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit(""))
 
 
+def parts(batches, rows: int = 256):
+    """Arrow batches in parts of so many rows, so that Python holds the objects of one part at a time."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
 def bound(value: Column, body: Callable[[Column], Column]) -> Column:
     """``body`` of ``value``, which is worked out once however often, and in however deep a lambda, ``body`` uses it."""
     return F.get(F.transform(F.array(value), body), F.lit(0))

@@ -495,3 +495,30 @@ def test_near_copies_at_similarity_of_four_fifths(spark, crowd):
     assert got == set(want.values())
     if crowd == near_copies.CROWD:
         assert {x.doc_id for x in corpus_pipeline.without_near_copies(spark, df, SMALL).collect()} == got
+
+
+def test_no_near_copy_is_lost_in_a_crowd_of_others(spark):
+    """Texts that share a long passage, so that index entries are crowded by texts that are no copies; pairs among them are."""
+    r = random.Random(5)
+    passage, texts = " ".join(f"p{i}" for i in range(150)), []
+    for _ in range(200):
+        own = [f"w{r.randrange(10**6)}" for _ in range(50)]
+        other = [f"e{r.randrange(10**6)}" if i in (7, 20, 33, 46) else w for i, w in enumerate(own)]
+        texts += [f"{passage} {' '.join(own)}", f"{passage} {' '.join(other)}"]
+    sets = [shingles(t) for t in texts]
+    true = [(i, j) for i in range(len(texts)) for j in range(i + 1, len(texts)) if jaccard(sets[i], sets[j]) >= 0.8]
+    want = closure(range(len(texts)), true)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert {x.doc_id for x in near_copies.firsts(df, "doc_id", crowd=4).collect()} == set(want.values())
+
+
+def test_variants_are_dealt_to_many_tasks(spark):
+    """Fingerprints that are grouped by themselves stay in few tasks; 64 variants of each are made in as many as the session has."""
+    fps = spark.range(5_000).select(F.xxhash64("id").alias("fp")).distinct()
+    seen, made = [], simhash.variants
+    try:
+        simhash.variants = lambda df, bits: seen.append(df) or made(df, bits)
+        simhash.links(fps).count()
+    finally:
+        simhash.variants = made
+    assert made(seen[0], 2).rdd.getNumPartitions() == int(spark.conf.get("spark.sql.shuffle.partitions"))
