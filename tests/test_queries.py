@@ -2,6 +2,8 @@ import pytest
 
 import __spark_entry__ as entry
 from driftks import registry
+from driftks.operators import workloads
+from driftks.sources import load
 
 from .conftest import SF, same_rows
 
@@ -67,6 +69,18 @@ def test_exact_statement_joins_by_key(spark, tmp_path):
     same_rows(registry.queries()["exact_statement"](spark, str(tmp_path)), con, registry.oracle_sql()["exact_statement"])
 
 
+def test_experiments_read_given_tables(spark):
+    """The experiments and the critical distances come from the tables, at the published sizes."""
+    for label in ("gauss_shift", "gauss_var", "gauss_null", "gamma_unif", "gamma_self"):
+        rows = workloads.resampled({"gauss_shift": "w1", "gauss_var": "w2", "gauss_null": "w3", "gamma_unif": "w4", "gamma_self": "w5"}[label], spark, SF, 1, (50, 20))
+        assert [(r["is_x"], r["count"]) for r in rows.groupBy("is_x").count().orderBy("is_x").collect()] == [(False, 20), (True, 50)]
+    own = {r[0] for r in workloads.gauss(spark, SF).select("z").collect()}
+    rows = workloads.resampled("w3", spark, SF, 1, (300, 300)).collect()
+    assert {r["value"] for r in rows} <= own and len({r["value"] for r in rows}) > 500
+    sizes = dict(load(spark, SF, "lineitem").groupBy("l_returnflag").count().collect())
+    assert {(r["flag_x"], r["n"], r["m"]) for r in registry.queries()["critical_distance_table"](spark, SF).collect()} == {(a, sizes[a], sizes[b]) for a in sizes for b in sizes if a < b}
+
+
 def test_entry(spark):
     df = entry.entry(spark)
     assert df.count() == 1 and df.schema == entry.entry(spark).schema
