@@ -46,6 +46,7 @@ STRETCH = 200_000
 MOST, PENALTY = 6.0, 8.0
 #: Words whose scores a worker remembers before it starts anew, and numbers that these take at most.
 MEMORY, MEMORY_CELLS = 300_000, 20_000_000
+GRAMS = 200_000  # n-grams whose buckets a worker remembers
 UNKNOWN = "und"
 
 # First and last code points of the scripts that are told apart.
@@ -83,10 +84,28 @@ def script(word: str) -> str:
     return next((name for name, ranges in SCRIPTS.items() if any(a <= code <= b for a, b in ranges)), "other")
 
 
+class Buckets(dict):
+    """The buckets of n-grams that were seen, ``GRAMS`` at most: few n-grams make most of the words."""
+
+    def __init__(self, size: int):
+        self.size = size
+
+    def __missing__(self, gram: str) -> int:
+        if len(self) >= GRAMS:
+            self.clear()
+        at = self[gram] = zlib.crc32(gram.encode()) % self.size
+        return at
+
+
+_buckets: dict[int, Buckets] = {}
+
+
 def grams(word: str, buckets: int = BUCKETS) -> list[int]:
     """Buckets of the word's 1- to 4-grams with word ends, and of the whole word."""
-    marked = f"<{word}>"
-    return [zlib.crc32(marked[i : i + n].encode()) % buckets for n in (1, 2, 3, 4) for i in range(len(marked) - n + 1)] + [zlib.crc32(word.encode(), 1) % buckets]
+    if buckets not in _buckets:
+        _buckets[buckets] = Buckets(buckets)
+    of, marked = _buckets[buckets], f"<{word}>"
+    return [of[marked[i : i + n]] for n in (1, 2, 3, 4) for i in range(len(marked) - n + 1)] + [zlib.crc32(word.encode(), 1) % buckets]
 
 
 def buckets_for(langs: int) -> int:

@@ -200,6 +200,19 @@ def test_language_spans_have_the_places_of_the_text():
     assert language_id.long_path(rows, ids[:1]).tolist() == [rows[ids[0]].argmax()]
 
 
+def test_buckets_of_grams_are_worked_out_once(monkeypatch):
+    """The same buckets as by hand, also when the memory is full; an n-gram that was seen is not hashed again."""
+    words = ["house", "mouse", "häuser", "дом", "a", "x" * 50]
+    by_hand = lambda w: [language_id.zlib.crc32(f"<{w}>"[i : i + n].encode()) % 999 for n in (1, 2, 3, 4) for i in range(len(w) + 3 - n)] + [language_id.zlib.crc32(w.encode(), 1) % 999]
+    want = [by_hand(w) for w in words]
+    for most in (3, 1000):
+        monkeypatch.setattr(language_id, "GRAMS", most)
+        assert [language_id.grams(w, 999) for w in words] == want
+    seen, crc = [], language_id.zlib.crc32
+    monkeypatch.setattr(language_id.zlib, "crc32", lambda *a: seen.append(a) or crc(*a))
+    assert language_id.grams("house", 999) == want[0] and len(seen) == 1
+
+
 def test_every_language_is_learned(spark):
     words = [f"{a}{b}{c}" for a in "bcdfgh" for b in "aeiou" for c in "klmnprst"]
     rows = [(i * 10 + j, f"l{i:03d}", " ".join([words[i]] * 30)) for i in range(230) for j in range(2)]
