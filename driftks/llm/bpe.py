@@ -43,8 +43,8 @@ from driftks.llm.tables import table, whole_text
 from driftks.plans.shipping import held, share
 
 WORD_END = "</w>"
-#: Words whose arcs one task remembers before it starts anew, and bytes of results that leave it at once.
-MEMORY, PORTION = 400_000, 32_000_000
+#: Words whose arcs a worker remembers, half of them the latest, and bytes of results that leave it at once.
+MEMORY, PORTION = 400_000, 4_000_000
 
 
 def byte_symbols() -> list[str]:
@@ -207,9 +207,9 @@ class WordEncoder:
         self.label = self.automaton.label | {i: t for t, i in self.added.items()}
         self.symbols = byte_symbols()
 
-    def ready(self) -> WordEncoder:
-        """Compile what isn't pickled: the matchers and the memory of words. A worker that
-        is used again finds both as the task before left them."""
+    def ready(self, labels: bool = True, memory: int = MEMORY) -> WordEncoder:
+        """Compile what isn't pickled: the matchers and the memory of ``memory`` words, whose labels are
+        left out on request. A worker that is used again finds both as the task before left them."""
         if hasattr(self, "known"):
             return self
         import regex
@@ -221,6 +221,8 @@ class WordEncoder:
         self.at = re.compile("|".join(map(re.escape, sorted(self.added, key=len, reverse=True)))) if self.added else None
         self.marks = {t[0] for t in self.added if t}
         self.known: dict[str, tuple[bytes, bytes]] = {}
+        self.older: dict[str, tuple[bytes, bytes]] = {}
+        self.labels, self.most = labels, memory // 2
         return self
 
     def words(self, text: str) -> list[str]:
@@ -228,12 +230,13 @@ class WordEncoder:
         return (self.far if not text.isascii() and self.beyond(text) else self.near)(text)
 
     def pack(self, ids: list[int]) -> tuple[bytes, bytes]:
-        return b"".join(i.to_bytes(4, "little") for i in ids), " ".join(self.label[i] for i in ids).encode()
+        return b"".join(i.to_bytes(4, "little") for i in ids), " ".join(self.label[i] for i in ids).encode() if self.labels else b""
 
     def word(self, word: str) -> tuple[bytes, bytes]:
-        if len(self.known) >= MEMORY:
-            self.known.clear()
-        self.known[word] = out = self.pack(self.automaton.arcs("".join([self.symbols[b] for b in word.encode()])))
+        """A word that isn't among the latest. Those before them are kept until the latest are full once more: frequent words stay."""
+        if len(self.known) >= self.most:
+            self.older, self.known = self.known, {}
+        self.known[word] = out = self.older.get(word) or self.pack(self.automaton.arcs("".join([self.symbols[b] for b in word.encode()])))
         return out
 
     def spelled(self, words: list[str]) -> list[tuple[bytes, bytes]]:
@@ -251,7 +254,7 @@ class WordEncoder:
             parts.append(self.pack([self.added[piece[0]]]))
             done = piece.end()
         parts += self.spelled(self.words(text[done:] if done else text))
-        return b"".join([p[0] for p in parts]), b" ".join([p[1] for p in parts])
+        return b"".join([p[0] for p in parts]), b" ".join([p[1] for p in parts]) if self.labels else b""
 
     def decode(self, ids: bytes) -> str:
         """The labels of the arcs with these ids, as the library joins them without a decoder."""
@@ -271,17 +274,18 @@ def default_path() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
-def encode(df: DataFrame, text: str = "text", key: str = "doc_id", path: str | None = None, decode: bool = False) -> DataFrame:
+def encode(df: DataFrame, text: str = "text", key: str = "doc_id", path: str | None = None, decode: bool = False, memory: int = MEMORY) -> DataFrame:
     """``key``, ``ids`` (binary, little-endian unsigned 32-bit), ``n_tokens`` and, on request, ``decoded``.
 
-    The compiled automaton is broadcast: it is bounded by the vocabulary, not by the data.
+    The compiled automaton is broadcast: it is bounded by the vocabulary, not by the data. A worker remembers the
+    arcs of ``memory`` words; with fewer it is smaller and slower, with the same results.
     """
     shared = share(df.sparkSession, load(path or default_path()))
     kind = df.schema[key].dataType
     fields = [pa.field("ids", pa.binary()), pa.field("n_tokens", pa.int64())] + [pa.field("decoded", pa.string())] * decode
 
     def run(batches):
-        encoder = held(shared).ready()
+        encoder = held(shared).ready(decode, memory)
         for batch in batches:
             texts, at = batch.column(1), 0
             while at < batch.num_rows:  # some ``PORTION`` bytes of results at a time, one text at least
@@ -292,8 +296,9 @@ def encode(df: DataFrame, text: str = "text", key: str = "doc_id", path: str | N
                 cols = [batch.column(0).slice(at, len(out)), pa.array([o[0] for o in out], pa.binary()), pa.array([len(o[0]) // 4 for o in out], pa.int64())]
                 if decode:
                     cols.append(pa.array([o[1] for o in out], pa.binary()).cast(pa.string()))
-                yield pa.RecordBatch.from_arrays(cols, names=[key, *(f.name for f in fields)])
                 at += len(out)
+                yield pa.RecordBatch.from_arrays(cols, names=[key, *(f.name for f in fields)])
+                pa.default_memory_pool().release_unused()
 
     schema = f"`{key}` {kind.simpleString()}, ids binary, n_tokens long" + ", decoded string" * decode
     return df.select(key, whole_text(text).alias("text")).mapInArrow(run, schema)

@@ -143,6 +143,35 @@ def test_added_tokens_of_any_spelling():
     assert list(memoryview(mine.encode("ab[x]a")[0]).cast("I")) == [3, 9, 1]
 
 
+def test_encoder_with_little_memory_gives_the_same():
+    """A small memory of words is kept to, frequent words stay in it, and labels are not held where none are asked for."""
+    small, full = bpe.load(bpe.default_path()).ready(labels=False, memory=20), bpe.load(bpe.default_path()).ready()
+    for i in range(100):
+        text = f"often word{i:03d} x{i * 7919}y often don't"
+        ids, labels = small.encode(text)
+        assert ids == full.encode(text)[0] and labels == b""
+        assert len(small.known) <= 10 and len(small.older) <= 10 and "often" in small.known | small.older
+    assert not any(v[1] for v in (small.known | small.older).values()) and bpe.PORTION <= 4_000_000
+
+
+def test_values_of_earlier_stages_leave_a_worker():
+    """A shipped value that only a cycle holds is gone once the next one is unpacked."""
+    import weakref
+
+    from pyspark import cloudpickle
+
+    from driftks.plans.shipping import held
+
+    class Held:
+        pass
+
+    old = Held()
+    old.itself, gone = old, weakref.ref(old)
+    del old
+    shared = type("Shared", (), {"value": cloudpickle.dumps([1])})()
+    assert held(shared) == [1] and held(shared) is held(shared) and gone() is None
+
+
 def test_bpe_query_equals_the_library(spark):
     theirs = library()
     texts = dict(table(spark, SMALL, "documents").select("doc_id", "text").collect())
