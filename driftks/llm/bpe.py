@@ -44,7 +44,7 @@ from driftks.plans.shipping import held, share
 
 WORD_END = "</w>"
 #: Words whose arcs a worker remembers, half of them the latest, and bytes of results that leave it at once.
-MEMORY, PORTION = 400_000, 4_000_000
+MEMORY, PORTION = 800_000, 4_000_000
 
 
 def byte_symbols() -> list[str]:
